@@ -17,10 +17,11 @@ How it runs
 3. Representatives meet in bands of four registers.  Each representative is first
    paired with the smallest member it meets; pairs are screened by the joint
    maximum-likelihood estimate of J and confirmed on the whole sets.
-4. Buckets that still hold more than one component are worked off exactly, HUBS
-   members of a bucket per round against the members of other components, until no
-   untested pair is left.  So a row makes at most HUBS pairs a round, no group is
-   expanded into all its pairs, and no candidate is ever dropped.
+4. Buckets that still hold more than one component are worked off exactly: HUBS
+   members a round, from outside the bucket's largest component, are compared with all
+   members of other components, until each outside member has had its turn.  So a row
+   makes at most HUBS pairs a round, no group is expanded into all its pairs, and no
+   candidate is ever dropped.
 
 With 44 bands of 4 rows a link at J = 0.75 escapes all bands with probability
 (1 - 0.75^4)^44 = 6e-8; links of higher similarity escape far less often.
@@ -329,9 +330,9 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     bands = materialise(nodes.select("node", "reg").mapInArrow(_band_batches, "band long, node long"))
     hubs = bands.groupBy("band").agg(F.min("node").alias("hub"), F.count("*").alias("n")).where("n > 1").drop("n")
     met = materialise(bands.join(hubs, "band"))
-    links = None
+    links, label = None, None
     tested = materialise(met.where("hub < node").groupBy("node").agg(F.min("hub").alias("a")).select("a", F.col("node").alias("b")))
-    fresh, k = tested, 0
+    fresh, done = tested, None
     while True:
         side = lambda n: nodes.select(F.col("node").alias(n), F.col("reg").alias(f"r{n}"), F.col("n_shingles").alias(f"n{n}"))
         sized = fresh.join(side("a"), "a").join(side("b"), "b").where(f"100 * least(na, nb) >= {PERCENT} * greatest(na, nb)")
@@ -339,22 +340,22 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
         found = materialise(confirm(likely, docs))
         links = found if links is None else links.unionByName(found)
         label = components(links)
-        # members of buckets that hold more than one component, with their rank in the bucket
+        # buckets that hold more than one component, and their members outside the largest
         now = met.select("band", "node").join(label, "node", "left").select("band", "node", F.coalesce("comp", "node").alias("comp"))
-        split = now.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("band")
-        if k == 0:
-            ranked = now.drop("comp").join(split, "band").withColumn("rank", F.row_number().over(Window.partitionBy("band").orderBy("node")))
-            open_ = materialise(ranked)
-        k += 1
-        part = open_.join(label, "node", "left").withColumn("comp", F.coalesce("comp", "node")).join(split, "band", "left_semi")
-        hub = part.where((F.col("rank") > (k - 1) * HUBS) & (F.col("rank") <= k * HUBS)).select("band", F.col("node").alias("a"), F.col("rank").alias("ra"), F.col("comp").alias("ca"))
-        pairs = part.join(hub, "band").where("ra < rank and ca != comp").select("a", F.col("node").alias("b")).distinct()
+        mixed = now.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("band")
+        part = materialise(now.join(mixed, "band", "left_semi"))
+        sizes = part.groupBy("band", "comp").agg(F.count("*").alias("n"))
+        largest = sizes.groupBy("band").agg(F.max_by("comp", F.struct("n", "comp")).alias("main"))
+        outside = part.join(largest, "band").where("comp != main").select("band", "node", "comp")
+        if done is not None:
+            outside = outside.join(done, ["band", "node"], "left_anti")
+        turn = outside.withColumn("rank", F.row_number().over(Window.partitionBy("band").orderBy("node"))).where(F.col("rank") <= HUBS)
+        turn = materialise(turn.select("band", F.col("node").alias("x"), F.col("comp").alias("cx")))
+        if not turn.limit(1).count():
+            break
+        done = turn.select("band", F.col("x").alias("node")) if done is None else done.unionByName(turn.select("band", F.col("x").alias("node")))
+        pairs = part.join(turn, "band").where("comp != cx").select(F.least("x", "node").alias("a"), F.greatest("x", "node").alias("b")).distinct()
         fresh = materialise(pairs.join(tested, ["a", "b"], "left_anti"))
-        left = open_.where(F.col("rank") > k * HUBS).limit(1).count()
-        if not fresh.limit(1).count():
-            if not left:
-                break
-            continue
         tested = tested.unionByName(fresh)
     shared = groups.where("copies > 1").select("d1", "d2", "n_shingles", "rep")
     out = rows.drop("reg").join(shared, ["d1", "d2", "n_shingles"], "left")
