@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import topk, unigram, warc
+from . import decontaminate, sharding, topk, unigram, warc
 from .common import table
 from .setsketch import near_duplicates
 
@@ -29,7 +29,17 @@ def op10_warc_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     return captures.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "key", "file", "offset", "length")
 
 
+def op4_balanced_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.balanced_shards(table(spark, sf_dir, "documents"), shards=40)
+
+
+def op5_template_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.verdicts(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op4_balanced_shards": op4_balanced_shards,
+    "op5_template_decontamination": op5_template_decontamination,
     "op6_columnar_topk": op6_columnar_topk,
     "op8_unigram_pieces": op8_unigram_pieces,
     "op9_setsketch_neardup": op9_setsketch_neardup,
