@@ -11,9 +11,11 @@ Nothing here knows any single operator.  The two ideas worth knowing:
 
 from __future__ import annotations
 
+import pickle
 import sys
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -25,6 +27,19 @@ def ship(module_name: str) -> None:
     cloudpickle.register_pickle_by_value(sys.modules[module_name])
 
 
+def share(spark: SparkSession, thing: object) -> Callable[[], object]:
+    """Broadcast an object of this repository's classes; the result gives it back on any executor."""
+    sent = spark.sparkContext.broadcast(cloudpickle.dumps(thing))
+    held: list[object] = []
+
+    def get() -> object:
+        if not held:
+            held.append(pickle.loads(sent.value))  # noqa: S301 - our own bytes
+        return held[0]
+
+    return get
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

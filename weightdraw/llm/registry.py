@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, sharding, topk, unigram, warc
+from . import decontaminate, quality, sharding, topk, toxicity, unigram, warc
 from .common import table
 from .setsketch import near_duplicates
 
@@ -37,10 +37,20 @@ def op5_template_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.verdicts(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op2_rule_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.score(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op7_boosted_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.score(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_rule_quality": op2_rule_quality,
     "op4_balanced_shards": op4_balanced_shards,
     "op5_template_decontamination": op5_template_decontamination,
     "op6_columnar_topk": op6_columnar_topk,
+    "op7_boosted_toxicity": op7_boosted_toxicity,
     "op8_unigram_pieces": op8_unigram_pieces,
     "op9_setsketch_neardup": op9_setsketch_neardup,
     "op10_warc_index": op10_warc_index,

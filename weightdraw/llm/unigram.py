@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ship
+from .common import share, ship
 
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁".encode()
@@ -279,10 +279,10 @@ def _lists(ids: list[bytes | None]) -> pa.Array:
 
 def encode(docs: DataFrame, model_path: str = DEFAULT_MODEL, text: str = "text") -> DataFrame:
     """(doc_id, n_tokens, ids, round_trip): every whole text encoded, and decoded again."""
-    held = docs.sparkSession.sparkContext.broadcast(Vocabulary.read(model_path))
+    held = share(docs.sparkSession, Vocabulary.read(model_path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary, memo = held.value, {}
+        vocabulary, memo = held(), {}
         for batch in batches:
             at = 0
             every = batch.column(1)
@@ -300,11 +300,11 @@ def encode(docs: DataFrame, model_path: str = DEFAULT_MODEL, text: str = "text")
 
 def decode(encoded: DataFrame, model_path: str = DEFAULT_MODEL) -> DataFrame:
     """(doc_id, text) of rows that hold ids; null ids give a null text."""
-    held = encoded.sparkSession.sparkContext.broadcast(Vocabulary.read(model_path))
+    held = share(encoded.sparkSession, Vocabulary.read(model_path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [None if i is None else held.value.decode(np.array(i, np.int32)).decode("utf-8", "replace") for i in batch.column(1).to_pylist()]
+            texts = [None if i is None else held().decode(np.array(i, np.int32)).decode("utf-8", "replace") for i in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string())], names=["doc_id", "text"])
 
     return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
