@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, quality, sharding, topk, toxicity, unigram, warc
+from . import decontaminate, language, quality, sharding, topk, toxicity, unigram, warc, wrappers
 from .common import table
 from .setsketch import near_duplicates
 
@@ -45,8 +45,18 @@ def op7_boosted_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op1_host_wrappers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return wrappers.extract(table(spark, sf_dir, "pages"))
+
+
+def op3_kneser_ney_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language.predict(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_host_wrappers": op1_host_wrappers,
     "op2_rule_quality": op2_rule_quality,
+    "op3_kneser_ney_language": op3_kneser_ney_language,
     "op4_balanced_shards": op4_balanced_shards,
     "op5_template_decontamination": op5_template_decontamination,
     "op6_columnar_topk": op6_columnar_topk,
