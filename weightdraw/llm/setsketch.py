@@ -14,14 +14,16 @@ How it runs
    probability about J.
 2. Documents with equal sets collapse onto the smallest doc_id (partial aggregation
    first, so a group of copies of any size is one row from here on).
-3. Representatives meet in bands of four registers.  Each representative is first
-   paired with the smallest member it meets; pairs are screened by the joint
+3. Representatives meet in bands of four registers.  Each is first paired with one hub,
+   a member that has little of its own; pairs are screened by the joint
    maximum-likelihood estimate of J and confirmed on the whole sets.
 4. Buckets that still hold more than one component are worked off exactly: HUBS
    members a round, from outside the bucket's largest component, are compared with all
    members of other components, until each outside member has had its turn.  So a row
-   makes at most HUBS pairs a round, no group is expanded into all its pairs, and no
-   candidate is ever dropped.
+   makes at most HUBS pairs a round and no group is expanded into all its pairs.  For
+   crowded buckets an exact bound comes first: a set that has too few shingles in common
+   with all other members together can be linked with none of them.  No candidate is ever
+   dropped otherwise.
 
 With 44 bands of 4 rows a link at J = 0.75 escapes all bands with probability
 (1 - 0.75^4)^44 = 6e-8; links of higher similarity escape far less often.
@@ -38,7 +40,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -52,6 +54,8 @@ RATE = 20.0
 TOP = 65_535
 PERCENT = 75
 HUBS = 32
+#: Members from which a bucket is a crowd; shingles that one group of the support count holds.
+CROWD, RANGE = 16, 2_000_000
 #: Bytes of text that one numpy pass holds.
 CHUNK = 1 << 20
 
@@ -297,6 +301,49 @@ def confirm(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     return rows.select("a", "block", "node", "side", "text").mapInArrow(_confirm_batches, "a long, b long")
 
 
+def can_overlap(common: Column, a: Column, b: Column) -> Column:
+    """Whether sets of sizes a and b that have at most ``common`` members in common can be linked."""
+    return common * (100 + PERCENT) >= PERCENT * (a + b)
+
+
+def _range_batches(ranges: int) -> object:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids = batch.column(0).to_pylist()
+            for i, sets in shingle_sets(_binary(batch, "text")):
+                part, node, held = [], [], []
+                for k, own in enumerate(sets, i):
+                    cuts = np.searchsorted(own, (np.arange(1, ranges, dtype=object) * (1 << 64) // ranges).astype(np.uint64)) if ranges > 1 else []
+                    for r, piece in enumerate(np.split(own, cuts)):
+                        if len(piece):
+                            part.append(r)
+                            node.append(ids[k])
+                            held.append(piece.tobytes())
+                yield pa.RecordBatch.from_arrays([pa.array(part, pa.int64()), pa.array(node, pa.int64()), pa.array(held, pa.binary())], names=["part", "node", "held"])
+
+    return run
+
+
+def _shared_group(group: pa.Table) -> pa.Table:
+    held = [np.frombuffer(x, np.uint64) for x in group.column("held").to_pylist()]
+    every = np.concatenate(held)
+    owner = np.repeat(np.arange(len(held)), [len(h) for h in held])
+    _, back, times = np.unique(every, return_inverse=True, return_counts=True)
+    return pa.table({"node": group.column("node"), "shared": pa.array(np.bincount(owner, times[back] > 1, len(held)).astype(np.int64))})
+
+
+def supported(nodes: DataFrame, docs: DataFrame) -> DataFrame:
+    """(node, shared): how many of a node's shingles any other of the nodes has too.
+
+    Sets are cut by hash range into groups of about RANGE shingles, so no task holds more.
+    """
+    texts = materialise(docs.select(F.col("doc_id").alias("node"), "text").join(nodes, "node", "left_semi").dropDuplicates(["node"]))
+    total = texts.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0] / 6
+    ranges = max(1, int(total // RANGE))
+    cut = texts.mapInArrow(_range_batches(ranges), "part long, node long, held binary")
+    return cut.groupBy("part").applyInArrow(_shared_group, "node long, shared long").groupBy("node").agg(F.sum("shared").alias("shared"))
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, comp): the smallest node reachable, for every node of an edge.
 
@@ -328,35 +375,46 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
         .select(F.col("rep").alias("node"), "r.n_shingles", "reg").dropDuplicates(["node", "reg"])
     )
     bands = materialise(nodes.select("node", "reg").mapInArrow(_band_batches, "band long, node long"))
-    hubs = bands.groupBy("band").agg(F.min("node").alias("hub"), F.count("*").alias("n")).where("n > 1").drop("n")
-    met = materialise(bands.join(hubs, "band"))
-    links, label = None, None
-    tested = materialise(met.where("hub < node").groupBy("node").agg(F.min("hub").alias("a")).select("a", F.col("node").alias("b")))
-    fresh, done = tested, None
+    # buckets with company; in crowded ones, how much of each set is found elsewhere there
+    met = bands.join(bands.groupBy("band").agg(F.count("*").alias("m")).where("m > 1"), "band")
+    support = materialise(supported(met.where(f"m > {CROWD}").select("node").distinct(), docs))
+    size_of = nodes.groupBy("node").agg(F.max("n_shingles").alias("n"))
+    met = met.join(size_of, "node").join(support, "node", "left").select("band", "node", "n", F.coalesce("shared", "n").alias("shared"))
+    met = materialise(met.withColumn("own", 1 - F.col("shared") / F.col("n")))
+    # the hub of a bucket is the member with the least of its own; every node tries the best hub it meets
+    hub = met.groupBy("band").agg(F.min(F.struct("own", "node", "n", "shared")).alias("hub"))
+    star = met.join(hub, "band").where(F.col("node") != F.col("hub.node")).where(can_overlap(F.least("shared", "hub.shared"), F.col("n"), F.col("hub.n")))
+    fresh = materialise(star.groupBy("node").agg(F.min(F.struct("hub.own", "hub.node")).alias("hub")).select(F.col("hub.node").alias("a"), F.col("node").alias("b")))
+    ordered = lambda pairs: pairs.select(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
+    links, label, tested, done = None, None, ordered(fresh), None
     while True:
         side = lambda n: nodes.select(F.col("node").alias(n), F.col("reg").alias(f"r{n}"), F.col("n_shingles").alias(f"n{n}"))
         sized = fresh.join(side("a"), "a").join(side("b"), "b").where(f"100 * least(na, nb) >= {PERCENT} * greatest(na, nb)")
         likely = materialise(sized.select("a", "b", "ra", "rb", "na", "nb").mapInArrow(_likely_batches, "a long, b long").distinct())
         found = materialise(confirm(likely, docs))
-        links = found if links is None else links.unionByName(found)
-        label = components(links)
+        if label is None or found.limit(1).count():
+            links = found if links is None else links.unionByName(found)
+            label = components(links)
         # buckets that hold more than one component, and their members outside the largest
-        now = met.select("band", "node").join(label, "node", "left").select("band", "node", F.coalesce("comp", "node").alias("comp"))
-        mixed = now.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("band")
+        now = met.join(label, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+        mixed = now.groupBy("band").agg(F.min("comp").alias("first"), F.max("comp").alias("last")).where("first < last").select("band")
         part = materialise(now.join(mixed, "band", "left_semi"))
-        sizes = part.groupBy("band", "comp").agg(F.count("*").alias("n"))
-        largest = sizes.groupBy("band").agg(F.max_by("comp", F.struct("n", "comp")).alias("main"))
-        outside = part.join(largest, "band").where("comp != main").select("band", "node", "comp")
+        sizes = part.groupBy("band", "comp").agg(F.count("*").alias("k"), F.min("n").alias("least"))
+        largest = sizes.groupBy("band").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.min("least").alias("least"))
+        # a set that shares too little with others here can be linked with none of them
+        outside = part.join(largest, "band").where(F.expr("comp != main") & can_overlap(F.col("shared"), F.col("n"), F.greatest(F.col("least"), F.ceil(F.col("n") * PERCENT / 100))))
         if done is not None:
             outside = outside.join(done, ["band", "node"], "left_anti")
         turn = outside.withColumn("rank", F.row_number().over(Window.partitionBy("band").orderBy("node"))).where(F.col("rank") <= HUBS)
-        turn = materialise(turn.select("band", F.col("node").alias("x"), F.col("comp").alias("cx")))
+        turn = materialise(turn.select("band", F.col("node").alias("x"), F.col("comp").alias("cx"), F.col("n").alias("nx"), F.col("shared").alias("sx")))
         if not turn.limit(1).count():
             break
         done = turn.select("band", F.col("x").alias("node")) if done is None else done.unionByName(turn.select("band", F.col("x").alias("node")))
-        pairs = part.join(turn, "band").where("comp != cx").select(F.least("x", "node").alias("a"), F.greatest("x", "node").alias("b")).distinct()
-        fresh = materialise(pairs.join(tested, ["a", "b"], "left_anti"))
-        tested = tested.unionByName(fresh)
+        can = F.expr("comp != cx") & can_overlap(F.least("shared", "sx"), F.col("n"), F.col("nx"))
+        pairs = part.join(turn, (part.band == turn.band) & can).select(F.col("x").alias("a"), F.col("node").alias("b"))
+        pairs = pairs.groupBy(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi")).agg(F.min("a").alias("a"))
+        fresh = materialise(pairs.join(tested, ["lo", "hi"], "left_anti").select("a", F.when(F.col("a") == F.col("lo"), F.col("hi")).otherwise(F.col("lo")).alias("b")))
+        tested = tested.unionByName(ordered(fresh))
     shared = groups.where("copies > 1").select("d1", "d2", "n_shingles", "rep")
     out = rows.drop("reg").join(shared, ["d1", "d2", "n_shingles"], "left")
     out = out.withColumn("rep", F.when(F.col("n_shingles") > 0, F.coalesce("rep", "doc_id")).otherwise(F.col("doc_id")))
