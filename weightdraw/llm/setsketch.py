@@ -53,7 +53,7 @@ BASE = 1.001
 RATE = 20.0
 TOP = 65_535
 PERCENT = 75
-HUBS = 32
+HUBS = 256
 #: Members from which a bucket is a crowd; shingles that one group of the support count holds.
 CROWD, RANGE = 16, 2_000_000
 #: Bytes of text that one numpy pass holds.
@@ -286,8 +286,8 @@ def _confirm_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBat
         yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
 
-def confirm(pairs: DataFrame, docs: DataFrame) -> DataFrame:
-    """The pairs (a, b) that are links, compared on their whole sets.
+def confirm(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """The pairs (a, b) that are links, compared on their whole sets; ``texts`` is (node, text).
 
     A hub's partners are dealt into blocks of about 64, each with one copy of the hub's
     text, so a hub with a million partners is many small groups.
@@ -295,8 +295,6 @@ def confirm(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     per = pairs.groupBy("a").agg(F.ceil(F.count("*") / 64).alias("blocks"))
     dealt = pairs.join(per, "a").select("a", F.pmod(F.xxhash64("b"), F.col("blocks")).alias("block"), "b")
     sides = dealt.select("a", "block", F.col("a").alias("node"), F.lit(0).alias("side")).distinct().unionByName(dealt.select("a", "block", F.col("b").alias("node"), F.lit(1).alias("side")))
-    need = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
-    texts = docs.select(F.col("doc_id").alias("node"), "text").join(need, "node", "left_semi")
     rows = sides.join(texts, "node").repartition("a", "block").sortWithinPartitions("a", "block", "side")
     return rows.select("a", "block", "node", "side", "text").mapInArrow(_confirm_batches, "a long, b long")
 
@@ -332,12 +330,12 @@ def _shared_group(group: pa.Table) -> pa.Table:
     return pa.table({"node": group.column("node"), "shared": pa.array(np.bincount(owner, times[back] > 1, len(held)).astype(np.int64))})
 
 
-def supported(nodes: DataFrame, docs: DataFrame) -> DataFrame:
+def supported(nodes: DataFrame, texts: DataFrame) -> DataFrame:
     """(node, shared): how many of a node's shingles any other of the nodes has too.
 
     Sets are cut by hash range into groups of about RANGE shingles, so no task holds more.
     """
-    texts = materialise(docs.select(F.col("doc_id").alias("node"), "text").join(nodes, "node", "left_semi").dropDuplicates(["node"]))
+    texts = texts.join(nodes, "node", "left_semi")
     total = texts.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0] / 6
     ranges = max(1, int(total // RANGE))
     cut = texts.mapInArrow(_range_batches(ranges), "part long, node long, held binary")
@@ -376,8 +374,11 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     )
     bands = materialise(nodes.select("node", "reg").mapInArrow(_band_batches, "band long, node long"))
     # buckets with company; in crowded ones, how much of each set is found elsewhere there
-    met = bands.join(bands.groupBy("band").agg(F.count("*").alias("m")).where("m > 1"), "band")
-    support = materialise(supported(met.where(f"m > {CROWD}").select("node").distinct(), docs))
+    met = materialise(bands.join(bands.groupBy("band").agg(F.count("*").alias("m")).where("m > 1"), "band"))
+    # the one shuffle of whole texts: those of documents that meet others
+    texts = docs.select(F.col("doc_id").alias("node"), "text").join(met.select("node").distinct(), "node", "left_semi")
+    texts = materialise(texts.dropDuplicates(["node"]))
+    support = materialise(supported(met.where(f"m > {CROWD}").select("node").distinct(), texts))
     size_of = nodes.groupBy("node").agg(F.max("n_shingles").alias("n"))
     met = met.join(size_of, "node").join(support, "node", "left").select("band", "node", "n", F.coalesce("shared", "n").alias("shared"))
     met = materialise(met.withColumn("own", 1 - F.col("shared") / F.col("n")))
@@ -391,7 +392,7 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
         side = lambda n: nodes.select(F.col("node").alias(n), F.col("reg").alias(f"r{n}"), F.col("n_shingles").alias(f"n{n}"))
         sized = fresh.join(side("a"), "a").join(side("b"), "b").where(f"100 * least(na, nb) >= {PERCENT} * greatest(na, nb)")
         likely = materialise(sized.select("a", "b", "ra", "rb", "na", "nb").mapInArrow(_likely_batches, "a long, b long").distinct())
-        found = materialise(confirm(likely, docs))
+        found = materialise(confirm(likely, texts))
         if label is None or found.limit(1).count():
             links = found if links is None else links.unionByName(found)
             label = components(links)
