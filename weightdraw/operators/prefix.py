@@ -77,13 +77,13 @@ def next_at_or_after(probes: DataFrame, reference: DataFrame, probe_key: str, re
     the probe inside a range block, and for probes at the end of a block the first
     reference row of a later block, carried by the driver (one row a block).
     """
-    cols = [c for c in probes.columns if c != probe_key]
     left = probes.select(F.col(probe_key).alias("_k"), F.lit(1 if strict else 0).alias("_side"), F.struct(*[F.col(c) for c in probes.columns]).alias("_p"), F.lit(None).cast(reference.select(F.struct(*payload)).schema[0].dataType).alias("_r"))
     right = reference.select(F.col(ref_key).alias("_k"), F.lit(0 if strict else 1).alias("_side"), F.lit(None).cast(left.schema["_p"].dataType).alias("_p"), F.struct(*payload).alias("_r"))
     cuts = boundaries(reference.select(F.col(ref_key).alias("_k")), "_k", blocks)
     both = with_block(left.unionByName(right), "_k", cuts)
-    after = Window.partitionBy("_block").orderBy("_k", "_side").rowsBetween(1, Window.unboundedFollowing)
-    both = both.withColumn("_found", F.first("_r", ignorenulls=True).over(after))
+    # backwards, because only a growing frame is evaluated in one pass
+    after = Window.partitionBy("_block").orderBy(F.desc("_k"), F.desc("_side")).rowsBetween(Window.unboundedPreceding, -1)
+    both = both.withColumn("_found", F.last("_r", ignorenulls=True).over(after))
     heads = {r["_block"]: r["head"] for r in both.where("_r is not null").groupBy("_block").agg(F.min(F.struct("_k", "_r")).alias("head")).collect()}
     later, carried = None, {}
     for b in range(len(cuts), -1, -1):
@@ -96,7 +96,7 @@ def next_at_or_after(probes: DataFrame, reference: DataFrame, probe_key: str, re
     table = F.broadcast(spark.createDataFrame(rows, f"_b int, _later {kind.simpleString()}"))
     out = both.where("_p is not null").join(table, F.col("_block") == F.col("_b"), "left")
     out = out.withColumn("_found", F.coalesce("_found", "_later"))
-    return out.select("_p.*", *[F.col(f"_found.{c}").alias(f"found_{c}") for c in payload]) if cols or True else out
+    return out.select("_p.*", *[F.col(f"_found.{c}").alias(f"found_{c}") for c in payload])
 
 
 def bisect_cuts(cuts: list, key: object) -> int:
