@@ -6,7 +6,7 @@ apart, from the first assignment on and after every round.
 * Start: rows are numbered without gaps (hash blocks, block offsets, number in the block)
   and dealt round robin, which is exactly even and ignores links.
 * Round: every group of linked rows counts its members per shard; members outside the
-  group's strongest shard want to move there.  The wishes form a shards x shards table of
+  group's strongest shard with room for the rest want to move there.  The wishes form a shards x shards table of
   counts (the only thing the driver sees).  Wishes are granted as far as each shard's
   surplus can be met by unlinked rows that give way; these fill the places left behind,
   so all sizes stay as they are.  Wishes of the strongest groups go first.
@@ -100,14 +100,18 @@ def balanced_shards(docs: DataFrame, shards: int = 40, rounds: int = 10) -> Data
     for _ in range(rounds):
         linked = state.where("part is not null")
         held = linked.groupBy(*group, "shard").agg(F.count("*").alias("k"))
-        best = held.groupBy(*group).agg(F.max(F.struct("k", F.pmod(F.xxhash64("h1", "shard"), F.lit(997)), "shard")).alias("best"))
-        best = best.select(*group, F.col("best.shard").alias("to"), F.col("best.k").alias("k"))
+        unlinked = state.where("part is null").select("g", "shard")
+        free = {r["shard"]: r["count"] for r in unlinked.groupBy("shard").count().collect()}
+        room = F.array(*[F.lit(free.get(j, 0)) for j in range(shards)])
+        # at most one entry a shard; shards that can take the whole part come first
+        at = held.groupBy(*group).agg(F.collect_list(F.struct("k", "shard")).alias("at"), F.sum("k").alias("total"))
+        fits = lambda x: (F.element_at(room, x["shard"] + 1) >= F.col("total") - x["k"]).cast("int")
+        best = F.array_max(F.transform("at", lambda x: F.struct(fits(x).alias("fits"), x["k"].alias("k"), F.pmod(F.xxhash64("h1", x["shard"]), F.lit(997)).alias("tie"), x["shard"].alias("shard"))))
+        best = at.select(*group, best.alias("best")).select(*group, F.col("best.shard").alias("to"), F.col("best.k").alias("k"))
         wishes = materialise(linked.join(best, group).where("shard != to").select("g", F.col("shard").alias("from"), "to", "k"))
         wish = {(r["from"], r["to"]): r["count"] for r in wishes.groupBy("from", "to").count().collect()}
         if not wish:
             break
-        unlinked = state.where("part is null").select("g", "shard")
-        free = {r["shard"]: r["count"] for r in unlinked.groupBy("shard").count().collect()}
         got, away, left = grants(wish, free, shards)
         if not sum(got.values()):
             break
