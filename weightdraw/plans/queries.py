@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
-from decimal import Decimal
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,8 +17,10 @@ from ..operators import items as I
 from ..operators import order as O
 from ..operators import subset as P
 from ..operators import tables as T
+from ..operators.prefix import block_sums
 from ..sources.tables import FIXTURES
 from ..streaming import reservoir as R
+from . import sqlapi
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -44,10 +46,6 @@ def one_row(spark: SparkSession, **values: int) -> DataFrame:
     return spark.createDataFrame([tuple(values.values())], ", ".join(f"{k} long" for k in values))
 
 
-def first(df: DataFrame) -> DataFrame:
-    return df
-
-
 # ---- SQL building blocks -------------------------------------------------------------------
 
 STATS = "st AS (SELECT count(*) AS n, CAST(sum(units) AS BIGINT) AS total, min(units) AS least, max(units) AS most FROM items)"
@@ -112,7 +110,7 @@ add(
 )
 add(
     "block_sums",
-    lambda s, d: __import__("weightdraw.operators.prefix", fromlist=["x"]).block_sums(items("orders")(s, d), "id", [4000, 8000, 12000], "units").select("block", "n", *big("total")),
+    lambda s, d: block_sums(items("orders")(s, d), "id", [4000, 8000, 12000], "units").select("block", "n", *big("total")),
     f"WITH {FIXTURES['orders'].sql} SELECT CAST(id >= 4000 AS INTEGER) + CAST(id >= 8000 AS INTEGER) + CAST(id >= 12000 AS INTEGER) AS block, count(*) AS n, CAST(sum(units) AS BIGINT) AS total FROM items GROUP BY 1",
 )
 add("hash_uniform_orders", lambda s, d: items("orders")(s, d).select("id", F.round(hash_uniform(SEED, F.col("id")), 9).alias("u")), f"WITH {FIXTURES['orders'].sql} SELECT id, round({sql_uniform(SEED, 'id')}, 9) AS u FROM items")
@@ -512,4 +510,30 @@ add("stratified_by_nation", lambda s, d: flat(R.bottom_k(I.weighted_items(c := s
 add("baseline_spark_sample", lambda s, d: orders(s, d).sample(fraction=0.01, seed=SEED).select("o_orderkey"))
 add("fit_report", lambda s, d: E.fit_report(drawn("part", 4000)(s, d), items("part")(s, d), 4000, 20))
 add("window_key_ranks", lambda s, d: items("events")(s, d).join(s.read.parquet(f"{d}/events.parquet").select(F.col("event_id").alias("id"), "event_type"), "id").select("id", F.ntile(4).over(Window.partitionBy("event_type").orderBy("w", "id")).alias("quarter")), f"WITH {FIXTURES['events'].sql} SELECT id, CAST(ntile(4) OVER (PARTITION BY event_type ORDER BY w, id) AS INTEGER) AS quarter FROM items JOIN events ON event_id = id")
-_ = Decimal
+
+
+def udtf_sample(s: SparkSession, d: str) -> DataFrame:
+    kinds = s.read.parquet(f"{d}/events.parquet").select(F.col("event_id").alias("id"), F.col("event_type").alias("grp"))
+    return sqlapi.sample_by_group_sql(s, items("events")(s, d).join(kinds, "id"), 5, SEED).select(F.col("grp").alias("event_type"), "id")
+
+
+add("udtf_weighted_sample", udtf_sample, ORACLE["topk_by_type"])
+add("map_of_counts", lambda s, d: A.draw_counts(drawn("orders", 1000)(s, d)).agg(F.map_from_entries(F.collect_list(F.struct("id", "k_i"))).alias("m")).select(F.size("m").cast("long").alias("n_ids"), F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, x: a + x).alias("k")), f"{DRAWN} SELECT count(DISTINCT id) AS n_ids, count(*) AS k FROM drawn")
+
+
+def streamed(s: SparkSession, d: str) -> DataFrame:
+    """The reservoir fed by Structured Streaming from files of the events table."""
+    import tempfile
+
+    from ..sources.tables import read_stream
+
+    base = s.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="weightdraw-")
+    home = f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    rows = items("events")(s, d).select("id", "w")
+    rows.repartition(3, "id").write.parquet(f"{home}/in")
+    held = R.WeightedReservoir(s, 100, SEED, path=f"{home}/state")
+    R.stream_into(held, read_stream(s, f"{home}/in", rows.schema), f"{home}/log").awaitTermination()
+    return held.current().select("id")
+
+
+add("reservoir_streamed", streamed, ORACLE["reservoir_day_k100"])
