@@ -13,14 +13,12 @@ from decimal import Decimal
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from ..functions.variates import hash_uniform
 from .items import UNITS, Stats, classify, weight_stats
-from .prefix import block_prefix_sum, blocks_for, next_at_or_after
+from .prefix import block_prefix_sum, blocks_for, boundaries, next_at_or_after, with_block
 
 WIDE = pa.decimal128(38, 0)
-Rows = list[tuple[object, int, object, bool]]
 
 
 # ---- sequential builds, on Python integers ---------------------------------------------
@@ -260,8 +258,6 @@ def greedy_pass(items: DataFrame, ranges: int, stats: Stats) -> DataFrame:
     left, with a partly used heavy item at its residual mass, is a leftover.
     """
     rows = classify(items, stats)
-    from .prefix import boundaries, with_block
-
     rows = with_block(rows, "id", boundaries(rows, "id", ranges), "r").withColumn("cap", F.lit(Decimal(stats.total)).cast(UNITS))
     t = _kind(items)
 
@@ -369,7 +365,3 @@ def draw_two_tables(own: DataFrame, alias: DataFrame, k: int, n: int, seed: int
     asked = draw_requests(own, k, n, seed)
     both = asked.join(own, "bucket").join(alias, "bucket")
     return both.select("draw", pick(F.col("u"), F.col("part"), F.col("cap"), F.col("id"), F.col("alias")).alias("id"))
-
-
-def row_window(*keys: str) -> Window:
-    return Window.partitionBy(*keys)

@@ -8,7 +8,6 @@ inside a block.
 
 from __future__ import annotations
 
-from bisect import bisect_left
 from decimal import Decimal
 from itertools import accumulate
 
@@ -97,8 +96,3 @@ def next_at_or_after(probes: DataFrame, reference: DataFrame, probe_key: str, re
     out = both.where("_p is not null").join(table, F.col("_block") == F.col("_b"), "left")
     out = out.withColumn("_found", F.coalesce("_found", "_later"))
     return out.select("_p.*", *[F.col(f"_found.{c}").alias(f"found_{c}") for c in payload])
-
-
-def bisect_cuts(cuts: list, key: object) -> int:
-    """The block of a key on the driver; the same rule as ``with_block``."""
-    return bisect_left(cuts, key) + (key in cuts)

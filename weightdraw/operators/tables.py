@@ -7,9 +7,10 @@ from decimal import Decimal
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from ..functions.variates import hash_uniform
-from .alias import alias_by_shard, draw_alias, numbered, sweep_rows
+from .alias import alias_by_shard, draw_alias, pick, sweep_rows
 from .items import UNITS, weight_stats
 from .prefix import block_prefix_sum, blocks_for
 
@@ -42,10 +43,10 @@ def copies(items: DataFrame, n: int, total: int) -> DataFrame:
     """Adds ``c`` = ceil(n w / W) buckets of width W / n, and their running sum ``c1``."""
     mass = (F.col("units") * F.lit(n).cast("decimal(18,0)")).cast(UNITS)
     whole = F.lit(Decimal(total)).cast(UNITS)
-    c = F.ceil(mass / whole).cast("long")
-    exact = F.when((F.col("_m") % whole) == 0, (F.col("_m") - F.col("_m") % whole) / whole).otherwise((F.col("_m") - F.col("_m") % whole) / whole + 1)
-    rows = items.withColumn("_m", mass).withColumn("c", exact.cast("long"))
-    return block_prefix_sum(rows, "id", {"c1": F.col("c")}, blocks_for(n)).withColumn("c1", F.col("c1").cast("long")).withColumnRenamed("_m", "mass") if c is not None else rows
+    over = F.col("mass") % whole
+    c = (F.col("mass") - over) / whole + F.when(over == 0, 0).otherwise(1)
+    rows = items.withColumn("mass", mass).withColumn("c", c.cast("long"))
+    return block_prefix_sum(rows, "id", {"c1": F.col("c")}, blocks_for(n)).withColumn("c1", F.col("c1").cast("long"))
 
 
 def rejection_table(items: DataFrame) -> DataFrame:
@@ -138,8 +139,6 @@ def twolevel_build(items: DataFrame, base: str = "sweep") -> tuple[DataFrame, Da
     top = top_table(meta_weights(items))
     spark = items.sparkSession
     rows = [(i, s, Decimal(p), a, Decimal(c)) for i, (s, p, a, c) in enumerate(top)]
-    from pyspark.sql.window import Window
-
     local = alias_by_shard(items, base)
     local = local.withColumn("bucket", (F.row_number().over(Window.partitionBy("shard").orderBy("id")) - 1).cast("long"))
     return spark.createDataFrame(rows, f"bucket long, id int, part {UNITS}, alias int, cap {UNITS}"), local
@@ -153,8 +152,6 @@ def twolevel_draw(top: DataFrame, local: DataFrame, k: int, seed: int = 7) -> Da
     asked = shard.join(F.broadcast(sizes), "shard")
     bucket = F.least((hash_uniform(seed, F.lit("local"), F.col("draw")) * F.col("m")).cast("long"), F.col("m") - 1)
     asked = asked.select("draw", "shard", bucket.alias("bucket"), hash_uniform(seed, F.lit("localcoin"), F.col("draw")).alias("u"))
-    from .alias import pick
-
     joined = local.join(F.broadcast(asked) if k <= 100_000 else asked, ["shard", "bucket"])
     return joined.select("draw", "shard", pick(F.col("u"), F.col("part"), F.col("cap"), F.col("id"), F.col("alias")).alias("id"))
 
@@ -220,7 +217,3 @@ def load_profile(df: DataFrame, weight: Column) -> DataFrame:
     """(shard, items, load) of an allocation."""
     return df.groupBy("shard").agg(F.count("*").alias("items"), F.sum(weight).alias("load"))
 
-
-def finish(table: DataFrame, n: int) -> DataFrame:
-    """Dense bucket numbers for a table that a caller wants to keep."""
-    return numbered(table, n)
