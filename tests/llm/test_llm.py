@@ -71,6 +71,16 @@ def test_near_duplicates_of_nothing(spark):
     assert setsketch.near_duplicates(frame(spark, [])).count() == 0
 
 
+def test_a_run_that_fills_its_chunk_keeps_all_texts():
+    limit = setsketch.CHUNK
+    long = lambda n: (b"ab cd ef gh ij kl " * (n // 18 + 1))[:n]
+    for sizes in ([1000, limit - 1001], [1000, limit - 1000], [limit - 1, 0, 0], [limit], [limit + 1, 7], [5, limit, 5]):
+        texts = [long(n) for n in sizes]
+        got = [(i + k, own) for i, sets in setsketch.shingle_sets(texts) for k, own in enumerate(sets)]
+        assert [i for i, _ in got] == list(range(len(texts)))
+        assert [len(own) for _, own in got] == [len(shingles(t.decode())) for t in texts]
+
+
 def test_registers_merge_and_estimate():
     a = np.unique(np.random.default_rng(1).integers(0, 1 << 63, 3000).astype(np.uint64))
     b = np.concatenate([a[:2400], np.unique(np.random.default_rng(2).integers(0, 1 << 63, 500).astype(np.uint64))])

@@ -137,7 +137,7 @@ def shingle_sets(texts: list[bytes | None]) -> Iterator[tuple[int, list[np.ndarr
             held += len(texts[j] or b"") + 1
             j += 1
         run = [t or b"" for t in texts[i:j]]
-        if held > CHUNK:
+        if j == i + 1 and len(run[0]) > CHUNK:
             words = [np.concatenate([_word_hashes(p) for p in _pieces(run[0])])]
         else:
             joined = b"\n".join(run) + b"\n"
