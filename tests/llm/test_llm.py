@@ -5,6 +5,7 @@ import hashlib
 import math
 import random
 import re
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -67,6 +68,37 @@ def test_near_duplicates_equal_brute_force(spark):
     assert all(r.kept == (r.doc_id == r.component_id) for r in got) and len(got) == len(rows)
 
 
+def crowded_buckets(texts):
+    """Of each text, the buckets of more than CROWD members in which it lies."""
+    reg = np.concatenate([setsketch.registers(sets) for _, sets in setsketch.shingle_sets([t.encode() for t in texts])])
+    keys = [[(k, *band) for k, band in enumerate(r)] for r in reg.reshape(len(texts), setsketch.BANDS, setsketch.ROWS).tolist()]
+    members = Counter(key for own in keys for key in own)
+    return [[key for key in own if members[key] > setsketch.CROWD] for own in keys]
+
+
+def test_a_near_copy_outside_the_crowd_is_linked(spark):
+    rng = random.Random(5)
+    own = lambda n: [f"v{rng.randrange(10**9)}" for _ in range(n)]
+    passage = own(150)
+    texts = [passage + own(100) for _ in range(70)]
+    busy = [k for k, buckets in enumerate(crowded_buckets([" ".join(t) for t in texts])) if buckets]
+    near = []
+    for k in busy:  # a copy without a part of the passage, which lies in none of the crowded buckets
+        for at in range(0, 95, 5):
+            one = texts[k][:at] + texts[k][at + 50 :]
+            if not crowded_buckets([" ".join(t) for t in [*texts, one]])[-1]:
+                near.append(one)
+                break
+        if len(near) == 3:
+            break
+    assert len(near) == 3
+    rows = list(enumerate(" ".join(t) for t in texts + near))
+    got = setsketch.near_duplicates(frame(spark, [(i, t, None) for i, t in rows])).collect()
+    want = brute_components(rows)
+    assert sum(i != c for i, (_, c) in want.items()) == 3
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == want
+
+
 def test_near_duplicates_of_nothing(spark):
     assert setsketch.near_duplicates(frame(spark, [])).count() == 0
 

@@ -21,9 +21,9 @@ How it runs
    members a round, from outside the bucket's largest component, are compared with all
    members of other components, until each outside member has had its turn.  So a row
    makes at most HUBS pairs a round and no group is expanded into all its pairs.  For
-   crowded buckets an exact bound comes first: a set that has too few shingles in common
-   with all other members together can be linked with none of them.  No candidate is ever
-   dropped otherwise.
+   members of crowded buckets an exact bound comes first: a set that has too few shingles
+   in common with all other such members together can be linked with none of them.  It says
+   nothing about a set outside that count.  No candidate is ever dropped otherwise.
 
 With 44 bands of 4 rows a link at J = 0.75 escapes all bands with probability
 (1 - 0.75^4)^44 = 6e-8; links of higher similarity escape far less often.
@@ -304,6 +304,11 @@ def can_overlap(common: Column, a: Column, b: Column) -> Column:
     return common * (100 + PERCENT) >= PERCENT * (a + b)
 
 
+def common_bound(x: Column, y: Column, nx: Column, ny: Column) -> Column:
+    """Most members that two sets can have in common; x and y are null for sets outside the support count."""
+    return F.when(x.isNotNull() & y.isNotNull(), F.least(x, y)).otherwise(F.least(nx, ny))
+
+
 def _range_batches(ranges: int) -> object:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -380,11 +385,11 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     texts = materialise(texts.dropDuplicates(["node"]))
     support = materialise(supported(met.where(f"m > {CROWD}").select("node").distinct(), texts))
     size_of = nodes.groupBy("node").agg(F.max("n_shingles").alias("n"))
-    met = met.join(size_of, "node").join(support, "node", "left").select("band", "node", "n", F.coalesce("shared", "n").alias("shared"))
-    met = materialise(met.withColumn("own", 1 - F.col("shared") / F.col("n")))
+    met = met.join(size_of, "node").join(support, "node", "left").select("band", "node", "n", "shared")
+    met = materialise(met.withColumn("own", F.coalesce(1 - F.col("shared") / F.col("n"), F.lit(0.0))))
     # the hub of a bucket is the member with the least of its own; every node tries the best hub it meets
     hub = met.groupBy("band").agg(F.min(F.struct("own", "node", "n", "shared")).alias("hub"))
-    star = met.join(hub, "band").where(F.col("node") != F.col("hub.node")).where(can_overlap(F.least("shared", "hub.shared"), F.col("n"), F.col("hub.n")))
+    star = met.join(hub, "band").where(F.col("node") != F.col("hub.node")).where(can_overlap(common_bound(F.col("shared"), F.col("hub.shared"), F.col("n"), F.col("hub.n")), F.col("n"), F.col("hub.n")))
     fresh = materialise(star.groupBy("node").agg(F.min(F.struct("hub.own", "hub.node")).alias("hub")).select(F.col("hub.node").alias("a"), F.col("node").alias("b")))
     ordered = lambda pairs: pairs.select(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
     links, label, tested, done = None, None, ordered(fresh), None
@@ -400,10 +405,11 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
         now = met.join(label, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
         mixed = now.groupBy("band").agg(F.min("comp").alias("first"), F.max("comp").alias("last")).where("first < last").select("band")
         part = materialise(now.join(mixed, "band", "left_semi"))
-        sizes = part.groupBy("band", "comp").agg(F.count("*").alias("k"), F.min("n").alias("least"))
-        largest = sizes.groupBy("band").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.min("least").alias("least"))
-        # a set that shares too little with others here can be linked with none of them
-        outside = part.join(largest, "band").where(F.expr("comp != main") & can_overlap(F.col("shared"), F.col("n"), F.greatest(F.col("least"), F.ceil(F.col("n") * PERCENT / 100))))
+        sizes = part.groupBy("band", "comp").agg(F.count("*").alias("k"), F.min("n").alias("least"), F.bool_and(F.col("shared").isNotNull()).alias("counted"))
+        largest = sizes.groupBy("band").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.min("least").alias("least"), F.bool_and("counted").alias("counted"))
+        # a set that shares too little with others here can be linked with none of them, if all here were counted
+        most = F.when(F.col("counted"), F.col("shared")).otherwise(F.col("n"))
+        outside = part.join(largest, "band").where(F.expr("comp != main") & can_overlap(most, F.col("n"), F.greatest(F.col("least"), F.ceil(F.col("n") * PERCENT / 100))))
         if done is not None:
             outside = outside.join(done, ["band", "node"], "left_anti")
         turn = outside.withColumn("rank", F.row_number().over(Window.partitionBy("band").orderBy("node"))).where(F.col("rank") <= HUBS)
@@ -411,7 +417,7 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
         if not turn.limit(1).count():
             break
         done = turn.select("band", F.col("x").alias("node")) if done is None else done.unionByName(turn.select("band", F.col("x").alias("node")))
-        can = F.expr("comp != cx") & can_overlap(F.least("shared", "sx"), F.col("n"), F.col("nx"))
+        can = F.expr("comp != cx") & can_overlap(common_bound(F.col("shared"), F.col("sx"), F.col("n"), F.col("nx")), F.col("n"), F.col("nx"))
         pairs = part.join(turn, (part.band == turn.band) & can).select(F.col("x").alias("a"), F.col("node").alias("b"))
         pairs = pairs.groupBy(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi")).agg(F.min("a").alias("a"))
         fresh = materialise(pairs.join(tested, ["lo", "hi"], "left_anti").select("a", F.when(F.col("a") == F.col("lo"), F.col("hi")).otherwise(F.col("lo")).alias("b")))
