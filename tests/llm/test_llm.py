@@ -259,6 +259,28 @@ def test_decontamination(spark):
     assert decontaminate.verdicts(frame(spark, rows), bench.limit(0)).where("contaminated").count() == 0
 
 
+def test_verbatim_items_dense_in_values(spark):
+    items = [
+        (1, "What is 12 + 34 + 56"),
+        (2, "Add 3 km 5 m 7 cm and 2 miles 9 yards 4 feet 8 inches to 11 gallons 6 litres"),
+        (3, "Anna, Bertha, Clara, Doris, Emma, Frieda, Greta, Hanna, Ida, Johanna, Karla, Lena, Martha, Nora"),
+        (4, "Where do the quiet herons sleep"),
+        (5, "Each of them carries 14 heavy boxes up later returns with exactly 9"),
+    ]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    filler = text(30)
+    rows = [(i, f"{filler} {item} {filler}", None) for i, item in items]
+    rows += [(10 + i, f"{filler}, {item.lower()}\n{filler}", None) for i, item in items]
+    rows += [
+        (20, f"{filler} {items[4][1].replace('14', '37')} {filler}", None),
+        (21, f"{filler} {items[4][1].replace('Each', 'Some').replace('14', '37')} {filler}", None),  # another first word
+        (22, f"{filler} {items[0][1].replace('34', '35')} {filler}", None),
+    ]
+    got = {r.doc_id: r for r in decontaminate.verdicts(frame(spark, rows), bench).collect()}
+    assert {i: r.item_id for i, r in got.items() if r.contaminated} == {**{i: i for i, _ in items}, **{10 + i: i for i, _ in items}, 20: 5}
+    assert {i for i, r in got.items() if r.reparameterised} == {20}
+
+
 # ---- pages -----------------------------------------------------------------------------------
 
 

@@ -4,16 +4,19 @@ Built-in functions only: no Python runs on the executors.
 
 * Tokens are words and numbers.  In a template, numbers, units and names (capitalised
   words inside a sentence) become typed placeholders, other words are lower-cased.
-  Every item is indexed as a template and, if that differs, in plain lower case, so a
-  copy with changed case matches too.
-* Windows of WINDOW tokens (or the whole item, if shorter) are hashed; windows that are
-  mostly placeholders say nothing and are left out.  One scan of the documents hashes
-  every window of every whole text and hash-joins the item windows, which are sent out
-  when their counted size allows it and joined by a shuffle otherwise.
+  Items and documents are taken as templates and, where that differs, in plain lower
+  case, so a verbatim copy or one with changed case matches whatever it holds.
+* Windows of WINDOW tokens (or the whole item, if shorter) are hashed; templates that are
+  mostly placeholders say nothing and are left out, plain windows never are.  The first
+  word of an item is also indexed as the name it looks like inside a document's sentence.
+  One scan of the documents hashes every window of every whole text and hash-joins the
+  item windows, which are sent out when their counted size allows it and joined by a
+  shuffle otherwise.
 * Matches of one document and item at one offset form a chain.  In a chain that covers
   placeholders the values must correspond one to one (the same value in the item always
   stands for the same value in the document, and the reverse): a re-parameterised
-  question keeps that, a chance meeting of templates does not.
+  question keeps that, a chance meeting of templates does not.  Plain windows that hold
+  values are judged with all windows of their chain, whose other words must be equal.
 * A document is contaminated by an item when its consistent chains cover at least
   MATCHED tokens of it, or the whole item if it is shorter.
 
@@ -69,13 +72,24 @@ def _windows(hashes: Column, size: Column | int) -> Column:
 
 
 def item_windows(benchmark: DataFrame) -> DataFrame:
-    """(hash, size, item_id, form, ipos, slots) of the indexed windows; form 0 is the template."""
+    """(hash, size, item_id, form, ipos, slots) of the indexed windows.
+
+    Form 0 is the template, 1 the plain form without values; form 2, judged with its
+    whole chain, is the plain form with values, or a template whose first word is
+    marked as a name.
+    """
     items = benchmark.select("item_id", tokens(F.col("text").cast("string")).alias("raw")).where(F.size("raw") >= SHORTEST)
-    both = items.select("item_id", F.lit(0).alias("form"), F.transform("raw", template).alias("t")).unionByName(items.select("item_id", F.lit(1).alias("form"), F.transform("raw", plain).alias("t")))
+    items = items.withColumn("kinds", F.transform("raw", template))
+    shape = lambda rows, form, t: rows.select("item_id", F.lit(form).alias("form"), t.alias("t"), "kinds")
+    start = F.concat(F.array(F.lit(SLOT + "name")), F.expr("slice(kinds, 2, size(kinds))"))
+    forms = shape(items, 0, F.col("kinds")).unionByName(shape(items, 1, F.transform("raw", plain)))
+    forms = forms.unionByName(shape(items.where(F.get("raw", F.lit(0)).rlike(r"^\p{Lu}\p{Ll}")), 2, start))
     size = F.least(F.size("t"), F.lit(WINDOW))
-    cut = both.select("item_id", "form", size.alias("size"), "t", F.posexplode(_windows(F.transform("t", lambda x: F.xxhash64(x)), size)).alias("ipos", "hash"))
-    slots = F.size(F.filter(F.expr("slice(t, ipos + 1, size)"), lambda x: F.substring(x, 1, 1) == SLOT))
-    found = cut.withColumn("slots", slots).where("slots * 8 <= size * 3")
+    cut = forms.select("item_id", "form", size.alias("size"), "kinds", F.posexplode(_windows(F.transform("t", lambda x: F.xxhash64(x)), size)).alias("ipos", "hash"))
+    count = lambda test: F.size(F.filter(F.expr("slice(kinds, ipos + 1, size)"), test))
+    cut = cut.withColumn("slots", count(lambda x: F.substring(x, 1, 1) == SLOT)).withColumn("values", count(lambda x: x.isin(SLOT + "number", SLOT + "unit")))
+    found = cut.where("form = 1 or slots * 8 <= size * 3 and (form = 0 or ipos = 0)")
+    found = found.withColumn("slots", F.when(F.col("form") == 1, 0).otherwise(F.col("slots"))).withColumn("form", F.when((F.col("form") == 1) & (F.col("values") > 0), 2).otherwise(F.col("form")))
     # a plain window equal to the template's is the same window
     return found.groupBy("hash", "size", "item_id", "ipos").agg(F.min("form").alias("form"), F.max("slots").alias("slots"))
 
@@ -90,14 +104,21 @@ def contamination(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         return spark.createDataFrame([], "doc_id long, item_id long, matched long, n_tokens int, reparameterised boolean")
     index = F.broadcast(index) if n <= BROADCAST_ROWS else index
     texts = docs.select("doc_id", F.col("text").cast("string").alias("text"))
-    hashed = texts.select("doc_id", F.transform(tokens(F.col("text")), lambda t: F.xxhash64(template(t))).alias("h"))
+    raw = texts.select("doc_id", tokens(F.col("text")).alias("raw"))
+    hashed = raw.select("doc_id", F.transform("raw", lambda t: F.xxhash64(template(t))).alias("h"), F.transform("raw", lambda t: F.xxhash64(plain(t))).alias("g"))
     hits = None
     for size in sizes:
-        windows = hashed.select("doc_id", F.posexplode(_windows(F.col("h"), size)).alias("dpos", "hash"))
+        both = F.concat(_windows(F.col("h"), size), _windows(F.col("g"), size))
+        windows = hashed.select("doc_id", (F.size("h") - size + 1).alias("n"), F.posexplode(both).alias("at", "hash"))
+        windows = windows.select("doc_id", F.expr("if(at < n, at, at - n)").alias("dpos"), "hash")
         part = windows.join(index.where(F.col("size") == size), "hash")
         hits = part if hits is None else hits.unionByName(part)
-    # a document may say a plain item in template form only where it has no slots, so one scan serves both forms
+    # hashes of the two forms are equal only without slots, so either may meet either
     chains = hits.groupBy("doc_id", "item_id", "form", (F.col("dpos") - F.col("ipos")).alias("shift")).agg(F.collect_set(F.struct("ipos", "size")).alias("at"), F.max("slots").alias("slots"))
+    chains = materialise(chains)
+    # form 2 takes in its chain's other windows and is always compared by its values
+    wide = chains.groupBy("doc_id", "item_id", "shift").agg(F.max("form").alias("form"), F.flatten(F.collect_set("at")).alias("at"), F.lit(1).alias("slots")).where("form = 2")
+    chains = chains.where("form < 2").unionByName(wide)
     covered = F.array_distinct(F.flatten(F.transform("at", lambda a: F.sequence(a["ipos"], a["ipos"] + a["size"] - 1))))
     chains = materialise(chains.select("doc_id", "item_id", "form", "shift", covered.alias("covered"), "slots"))
     items = benchmark.select("item_id", tokens(F.col("text").cast("string")).alias("raw")).dropDuplicates(["item_id"])
@@ -106,8 +127,11 @@ def contamination(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     few = valued.count() <= BROADCAST_ROWS
     held = texts.join(F.broadcast(valued) if few else valued, texts.doc_id.eqNullSafe(valued.doc_id)).drop(valued.doc_id)
     held = held.withColumn("doc", tokens(F.col("text"))).drop("text").join(items, "item_id")
-    pairs = F.transform("covered", lambda i: F.struct(F.get("raw", i).alias("a"), F.get("doc", i + F.col("shift")).alias("b")))
-    pairs = F.array_distinct(F.filter(pairs, lambda p: F.substring(template(p["a"]), 1, 1) == SLOT))
+    said = lambda t: F.when(F.col("form") == 2, plain(t)).otherwise(t)
+    pairs = F.transform("covered", lambda i: F.struct((F.substring(template(F.get("raw", i)), 1, 1) == SLOT).alias("slot"), said(F.get("raw", i)).alias("a"), said(F.get("doc", i + F.col("shift"))).alias("b")))
+    held = held.select("doc_id", "item_id", "form", "covered", pairs.alias("all"))
+    held = held.where((F.col("form") < 2) | F.forall("all", lambda p: p["slot"] | (p["a"] == p["b"])))
+    pairs = F.array_distinct(F.transform(F.filter("all", lambda p: p["slot"]), lambda p: F.struct(p["a"].alias("a"), p["b"].alias("b"))))
     both = held.select("doc_id", "item_id", "covered", pairs.alias("p"))
     side = lambda k: F.size(F.array_distinct(F.transform("p", lambda p: p[k])))
     checked = both.where((side("a") == F.size("p")) & (side("b") == F.size("p"))).select("doc_id", "item_id", "covered", F.exists("p", lambda p: p["a"] != p["b"]).alias("changed"))
