@@ -12,7 +12,7 @@ from pyspark.sql.window import Window
 from ..functions.variates import hash_uniform
 from .alias import alias_by_shard, draw_alias, pick, sweep_rows
 from .items import UNITS, weight_stats
-from .prefix import block_prefix_sum, blocks_for
+from .prefix import block_prefix_sum, blocks_for, next_at_or_after
 
 TRIES = 12
 
@@ -24,17 +24,26 @@ def draw_rejection_flat(items: DataFrame, k: int, seed: int = 7, tries: int = TR
     """(draw, id, tries): one item per bucket, accepted with probability w / w_max.
 
     Meant for weights within a constant factor; the attempts of a draw are rows of a
-    bounded round index, and the first accepted one counts.
+    round index, and the first accepted one counts.  Draws that a round leaves open go
+    on in a further one of twice the attempts, until none is open.
     """
     stats = weight_stats(items)
     dense = block_prefix_sum(items, "id", {"bucket": F.lit(1)}, blocks_for(stats.n)).withColumn("bucket", (F.col("bucket") - 1).cast("long"))
-    asked = attempts(items, k, tries, stats.n, seed)
-    hit = dense.join(F.broadcast(asked) if k <= 100_000 else asked, "bucket").where(F.col("u") * float(stats.most) <= F.col("units").cast("double"))
-    return hit.groupBy("draw").agg(F.min(F.struct("attempt", "id")).alias("f")).select("draw", F.col("f.id").alias("id"), (F.col("f.attempt") + 1).alias("tries"))
-
-
-def attempts(df: DataFrame, k: int, tries: int, n: int, seed: int) -> DataFrame:
-    draws = df.sparkSession.range(k).withColumnRenamed("id", "draw").withColumn("attempt", F.explode(F.sequence(F.lit(0), F.lit(tries - 1))))
+    found, first, draws = None, 0, None
+    while True:
+        asked = attempts(items, k, tries, stats.n, seed, first, draws)
+        hit = dense.join(F.broadcast(asked) if k <= 100_000 else asked, "bucket").where(F.col("u") * float(stats.most) <= F.col("units").cast("double"))
+        won = hit.groupBy("draw").agg(F.min(F.struct("attempt", "id")).alias("f")).select("draw", F.col("f.id").alias("id"), (F.col("f.attempt") + 1).alias("tries")).localCheckpoint()
+        found = won if found is None else found.unionByName(won)
+        if not stats.n or found.count() == k:
+            return found
+        draws = items.sparkSession.range(k).withColumnRenamed("id", "draw").join(found, "draw", "left_anti")
+        first, tries = first + tries, 2 * tries
+
+
+def attempts(df: DataFrame, k: int, tries: int, n: int, seed: int, first: int = 0, draws: DataFrame | None = None) -> DataFrame:
+    draws = df.sparkSession.range(k).withColumnRenamed("id", "draw") if draws is None else draws
+    draws = draws.withColumn("attempt", F.explode(F.sequence(F.lit(first), F.lit(first + tries - 1))))
     position = F.least((hash_uniform(seed, F.lit("try"), F.col("draw"), F.col("attempt")) * n).cast("long"), F.lit(n - 1))
     return draws.select("draw", "attempt", position.alias("bucket"), hash_uniform(seed, F.lit("accept"), F.col("draw"), F.col("attempt")).alias("u"))
 
@@ -97,8 +106,10 @@ def compressed_draw(words: DataFrame, entries: DataFrame, buckets: int, k: int,
     upto = F.bit_count(F.col("bits").bitwiseAND(F.expr("shiftleft(1L, pos + 1) - 1")))
     direct = have.join(words, "word_ix", "left")
     missing = direct.where("bits is null").select("draw", "attempt", "bucket", "u", "word_ix")
-    before = words.select(F.col("word_ix").alias("w"), (F.col("ones_before") + F.bit_count("bits")).alias("ones"))
-    filled = missing.join(before, F.expr("w < word_ix and w >= word_ix - 64")).groupBy("draw", "attempt", "bucket", "u").agg((F.max("ones") - 1).alias("rank"))
+    # however far before: the next word after counts the starts up to there, the last word all of them
+    after = next_at_or_after(missing, words, "word_ix", "word_ix", ["ones_before"], True)
+    ones = words.agg(F.sum(F.bit_count("bits"))).first()[0]
+    filled = after.select("draw", "attempt", "bucket", "u", (F.coalesce("found_ones_before", F.lit(ones)) - 1).alias("rank"))
     ranked = direct.where("bits is not null").select("draw", "attempt", "bucket", "u", (F.col("ones_before") + upto - 1).alias("rank")).unionByName(filled)
     hit = ranked.join(entries, "rank")
     last = F.col("bucket") == F.col("c1") - 1
