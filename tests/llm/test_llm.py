@@ -5,6 +5,7 @@ import hashlib
 import math
 import random
 import re
+import zlib
 from collections import Counter
 
 import numpy as np
@@ -351,6 +352,17 @@ def test_language(spark):
     assert [tuple(g) for g in grams[-2:]] == [(2, 2, 2, 97), (2, 2, 97, 3)]
 
 
+def test_language_model_keeps_every_gram(spark, monkeypatch):
+    monkeypatch.setattr(language, "MAX_GRAMS", 10, raising=False)
+    rows = [(i, "ala bela kela mila " + ("rarus" if i == 8 else ""), "aa") for i in range(12)] + [(21, "zork vruk", "zz")]
+    train = [t for i, t, _ in rows if zlib.crc32(str(i).encode()) % language.MODULUS != language.REMAINDER]
+    model = language.fit(frame(spark, rows))
+    grams, _ = language.windows(sorted({w for t in train for w in language.words_of(t)}))
+    assert any("rarus" in t for t in train) and any("zork" in t for t in train)
+    assert model.languages == ["aa", "zz"]
+    assert set(model.keys[-1].tolist()) == set(language.hashes(grams).tolist())
+
+
 def test_model_probabilities_add_up():
     words = ["ab", "aab", "ba"]
     grams, _ = language.windows(words)
