@@ -12,26 +12,30 @@ How it runs
    exponential variates of the shingles: registers of a union are the maxima of the
    registers (mergeable), and equal registers are a locality-sensitive event of
    probability about J.
-2. Documents with equal sets collapse onto the smallest doc_id (partial aggregation
-   first, so a group of copies of any size is one row from here on).
-3. Representatives meet in bands of four registers.  Each is first paired with one hub,
-   a member that has little of its own; pairs are screened by the joint
-   maximum-likelihood estimate of J and confirmed on the whole sets.
-4. Buckets that still hold more than one component are worked off exactly: HUBS
-   members a round, from outside the bucket's largest component, are compared with all
-   members of other components, until each outside member has had its turn.  So a row
-   makes at most HUBS pairs a round and no group is expanded into all its pairs.  For
-   members of crowded buckets an exact bound comes first: a set that has too few shingles
-   in common with all other such members together can be linked with none of them.  It says
-   nothing about a set outside that count.  No candidate is ever dropped otherwise.
+2. Rows with equal sets collapse onto one node (partial aggregation first, so a group of
+   copies of any size is one row from here on).
+3. Nodes meet in bands of four registers.  Each is first paired with one hub, the member
+   of its buckets that has least of its own; pairs are screened by the joint
+   maximum-likelihood estimate of J and confirmed on the whole sets.  A big group of near
+   copies is one component after that.
+4. What may still be linked across components is compared exactly, in one more step.
+   Buckets of up to CROWD members give their pairs.  Members of larger buckets meet
+   through their rarest shingles instead: with all sets ordered rarest shingle first, the
+   first shingle that two linked sets have in common lies early in both, so a pair needs
+   to be looked at only if it has a shingle at positions p and q with
+   ``(100 + PERCENT) * min(n - p, m - q) >= PERCENT * (n + m)``.  Passages that thousands
+   share come last in that order, and a set that has too much of its own never meets
+   anyone.  The bound is exact: no candidate is dropped that it does not refute.
 
 With 44 bands of 4 rows a link at J = 0.75 escapes all bands with probability
-(1 - 0.75^4)^44 = 6e-8; links of higher similarity escape far less often.
+(1 - 0.75^4)^44 = 6e-8; links of higher similarity escape far less often.  The screen
+is six standard deviations wide.
 
 Defined results for odd rows: null, empty and white-space texts have an empty set
-(n_shingles 0), are linked with nothing and are kept.  Repeated rows of one doc_id
-count as one document.  A null doc_id keeps its row, with component_id null and kept
-true.  An empty table gives an empty result.  Extra columns are ignored.
+(n_shingles 0), are linked with nothing and are kept.  Rows that share a doc_id are one
+document: equal texts count once, and sets of different texts of one doc_id lie in one
+component.  A null doc_id keeps its row, with component_id null and kept true.  An empty
+table gives an empty result.  Extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -40,7 +44,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -53,9 +57,8 @@ BASE = 1.001
 RATE = 20.0
 TOP = 65_535
 PERCENT = 75
-HUBS = 256
-#: Members from which a bucket is a crowd; shingles that one group of the support count holds.
-CROWD, RANGE = 16, 2_000_000
+#: Members above which a bucket's pairs are found through rare shingles.
+CROWD = 16
 #: Bytes of text that one numpy pass holds.
 CHUNK = 1 << 20
 
@@ -220,7 +223,6 @@ def _binary(batch: pa.RecordBatch, name: str) -> list[bytes | None]:
 
 def _sketch_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        ids = batch.column(0)
         for i, sets in shingle_sets(_binary(batch, "text")):
             n = np.array([len(s) for s in sets])
             every = np.concatenate(sets) if len(sets) else np.empty(0, np.uint64)
@@ -232,14 +234,14 @@ def _sketch_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
                 two[has] = np.bitwise_xor.reduceat(mix(every ^ ODD), at[has])
             reg = registers(sets)
             yield pa.RecordBatch.from_arrays(
-                [ids.slice(i, len(sets)), pa.array(n, pa.int64()), pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), pa.array([r.tobytes() for r in reg], pa.binary())],
-                names=["doc_id", "n_shingles", "d1", "d2", "reg"],
+                [batch.column(0).slice(i, len(sets)), batch.column(1).slice(i, len(sets)), pa.array(n, pa.int64()), pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), pa.array([r.tobytes() for r in reg], pa.binary())],
+                names=["doc_id", "mark", "n_shingles", "d1", "d2", "reg"],
             )
 
 
 def sketch(docs: DataFrame) -> DataFrame:
-    """(doc_id, n_shingles, d1, d2, reg) of every row."""
-    return docs.select("doc_id", "text").mapInArrow(_sketch_batches, "doc_id long, n_shingles long, d1 long, d2 long, reg binary")
+    """(doc_id, mark, n_shingles, d1, d2, reg) of every row; ``mark`` tells texts of one doc_id apart."""
+    return docs.select("doc_id", "mark", "text").mapInArrow(_sketch_batches, "doc_id long, mark long, n_shingles long, d1 long, d2 long, reg binary")
 
 
 def _band_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -299,52 +301,60 @@ def confirm(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     return rows.select("a", "block", "node", "side", "text").mapInArrow(_confirm_batches, "a long, b long")
 
 
-def can_overlap(common: Column, a: Column, b: Column) -> Column:
-    """Whether sets of sizes a and b that have at most ``common`` members in common can be linked."""
-    return common * (100 + PERCENT) >= PERCENT * (a + b)
+def _set_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for i, sets in shingle_sets(_binary(batch, "text")):
+            ends = np.cumsum([0] + [len(s) for s in sets])
+            for low in range(0, len(sets), 256):  # list offsets are 32 bits wide
+                part = sets[low : low + 256]
+                at = pa.array(ends[low : low + len(part) + 1] - ends[low], pa.int32())
+                members = pa.ListArray.from_arrays(at, pa.array(np.concatenate(part).view(np.int64)))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i + low, len(part)), members], names=["node", "members"])
 
 
-def common_bound(x: Column, y: Column, nx: Column, ny: Column) -> Column:
-    """Most members that two sets can have in common; x and y are null for sets outside the support count."""
-    return F.when(x.isNotNull() & y.isNotNull(), F.least(x, y)).otherwise(F.least(nx, ny))
+def common_with_others(crowd: DataFrame, texts: DataFrame) -> DataFrame:
+    """(node, shingle, held): the shingles of ``crowd``'s sets that ``held`` > 1 of them have."""
+    sets = materialise(texts.join(crowd, "node", "left_semi").select("node", "text").mapInArrow(_set_batches, "node long, members array<long>"))
+    each = sets.select("node", F.explode("members").alias("shingle"))
+    held = each.groupBy("shingle").agg(F.count("*").alias("held")).where("held > 1")
+    return materialise(each.join(held, "shingle").select("node", "shingle", "held"))
 
 
-def _range_batches(ranges: int) -> object:
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ids = batch.column(0).to_pylist()
-            for i, sets in shingle_sets(_binary(batch, "text")):
-                part, node, held = [], [], []
-                for k, own in enumerate(sets, i):
-                    cuts = np.searchsorted(own, (np.arange(1, ranges, dtype=object) * (1 << 64) // ranges).astype(np.uint64)) if ranges > 1 else []
-                    for r, piece in enumerate(np.split(own, cuts)):
-                        if len(piece):
-                            part.append(r)
-                            node.append(ids[k])
-                            held.append(piece.tobytes())
-                yield pa.RecordBatch.from_arrays([pa.array(part, pa.int64()), pa.array(node, pa.int64()), pa.array(held, pa.binary())], names=["part", "node", "held"])
+def prefixes(common: DataFrame, sizes: DataFrame) -> DataFrame:
+    """(shingle, node, n, p): where a set's first shingle in common with a linked set may lie.
 
-    return run
+    Shingles that nobody else has take the first places, then come the others, rarest
+    first.  A linked set has at least PERCENT per cent of the n members from there on.
+    """
+    known = common.join(common.groupBy("node").agg(F.count("*").alias("shared")).join(sizes, "node").where(f"100 * shared >= {PERCENT} * n"), "node")
+    rank = F.row_number().over(Window.partitionBy("node").orderBy("held", "shingle"))
+    return known.select("shingle", "node", "n", (F.col("n") - F.col("shared") + rank - 1).alias("p")).where(f"100 * p <= {100 - PERCENT} * n")
 
 
-def _shared_group(group: pa.Table) -> pa.Table:
-    held = [np.frombuffer(x, np.uint64) for x in group.column("held").to_pylist()]
-    every = np.concatenate(held)
-    owner = np.repeat(np.arange(len(held)), [len(h) for h in held])
-    _, back, times = np.unique(every, return_inverse=True, return_counts=True)
-    return pa.table({"node": group.column("node"), "shared": pa.array(np.bincount(owner, times[back] > 1, len(held)).astype(np.int64))})
+def early_pairs(early: DataFrame) -> DataFrame:
+    """Pairs (a, b) of nodes of different components that have an early shingle in common.
 
+    ``early`` is (shingle, node, n, p, comp).  A shingle's holders mostly belong to one
+    component; only those outside it are met with the others, and only if the shortest
+    holder is short enough for them.
+    """
+    per = early.groupBy("shingle", "comp").agg(F.count("*").alias("k"), F.min("n").alias("short"))
+    mixed = per.groupBy("shingle").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.min("short").alias("short"), F.count("*").alias("kinds")).where("kinds > 1")
+    fits = lambda n, p, m: f"{100 + PERCENT} * ({n} - {p}) >= {PERCENT} * ({n} + {m})"
+    out = early.join(mixed, "shingle").where(F.expr("comp != main") & F.expr(fits("n", "p", "short")))
+    out = out.select("shingle", F.col("node").alias("x"), F.col("n").alias("nx"), F.col("p").alias("px"), F.col("comp").alias("cx"))
+    met = out.join(early, "shingle").where(F.expr("comp != cx") & F.expr(fits("nx", "px", "n")) & F.expr(fits("n", "p", "nx")))
+    return met.select(F.least("x", "node").alias("a"), F.greatest("x", "node").alias("b"))
 
-def supported(nodes: DataFrame, texts: DataFrame) -> DataFrame:
-    """(node, shared): how many of a node's shingles any other of the nodes has too.
 
-    Sets are cut by hash range into groups of about RANGE shingles, so no task holds more.
-    """
-    texts = texts.join(nodes, "node", "left_semi")
-    total = texts.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0] / 6
-    ranges = max(1, int(total // RANGE))
-    cut = texts.mapInArrow(_range_batches(ranges), "part long, node long, held binary")
-    return cut.groupBy("part").applyInArrow(_shared_group, "node long, shared long").groupBy("node").agg(F.sum("shared").alias("shared"))
+def bucket_pairs(met: DataFrame) -> DataFrame:
+    """Pairs (a, b) of different components within the buckets of at most CROWD members."""
+    few = met.where(f"m <= {CROWD}").select("band", "node", "n", "comp")
+    mixed = few.groupBy("band").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("band")
+    few = few.join(mixed, "band", "left_semi")
+    other = few.select("band", F.col("node").alias("b"), F.col("n").alias("nb"), F.col("comp").alias("cb"))
+    close = F.expr(f"100 * least(n, nb) >= {PERCENT} * greatest(n, nb)")
+    return few.join(other, "band").where(F.expr("node < b and comp != cb") & close).select(F.col("node").alias("a"), "b")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -366,67 +376,56 @@ def components(edges: DataFrame) -> DataFrame:
             return label
 
 
+def _same_document(rows: DataFrame, nodes: DataFrame) -> DataFrame:
+    """Edges (a, b) between the sets of a doc_id that occurs with several."""
+    key = ["n_shingles", "d1", "d2"]
+    several = rows.groupBy("doc_id").agg(F.min(F.struct(*key)).alias("low"), F.max(F.struct(*key)).alias("high")).where("low < high").select("doc_id")
+    held = materialise(rows.join(several, "doc_id", "left_semi").select("doc_id", *key).distinct().join(nodes.select("node", *key), key))
+    first = held.groupBy("doc_id").agg(F.min("node").alias("a"))
+    return held.join(first, "doc_id").where("a < node").select("a", F.col("node").alias("b"))
+
+
+def linked(pairs: DataFrame, company: DataFrame, texts: DataFrame) -> DataFrame:
+    """Those of the pairs (a, b) that are links: screened by their sketches, confirmed on their sets."""
+    side = lambda n: company.select(F.col("node").alias(n), F.col("reg").alias(f"r{n}"), F.col("n").alias(f"n{n}"))
+    sized = pairs.join(side("a"), "a").join(side("b"), "b").where(f"100 * least(na, nb) >= {PERCENT} * greatest(na, nb)")
+    likely = materialise(sized.select("a", "b", "ra", "rb", "na", "nb").mapInArrow(_likely_batches, "a long, b long"))
+    return materialise(confirm(likely, texts))
+
+
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of ``docs``."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("mark", F.xxhash64("text"))
     rows = materialise(sketch(docs))
-    groups = rows.where("n_shingles > 0 and doc_id is not null").groupBy("n_shingles", "d1", "d2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"))
-    groups = materialise(groups)
-    # a doc_id that occurs with several texts is one node: its rows share a component
-    nodes = materialise(
-        rows.alias("r").join(groups.alias("g"), (F.col("r.doc_id") == F.col("g.rep")) & (F.col("r.d1") == F.col("g.d1")) & (F.col("r.d2") == F.col("g.d2")))
-        .select(F.col("rep").alias("node"), "r.n_shingles", "reg").dropDuplicates(["node", "reg"])
-    )
+    some = rows.where("n_shingles > 0 and doc_id is not null")
+    groups = some.groupBy("n_shingles", "d1", "d2").agg(F.min(F.struct("doc_id", "mark")).alias("rep"), F.count("*").alias("copies"), F.first("reg").alias("reg"))
+    nodes = materialise(groups.select(F.monotonically_increasing_id().alias("node"), "n_shingles", "d1", "d2", "rep.doc_id", "rep.mark", "copies", "reg"))
     bands = materialise(nodes.select("node", "reg").mapInArrow(_band_batches, "band long, node long"))
-    # buckets with company; in crowded ones, how much of each set is found elsewhere there
     met = materialise(bands.join(bands.groupBy("band").agg(F.count("*").alias("m")).where("m > 1"), "band"))
-    # the one shuffle of whole texts: those of documents that meet others
-    texts = docs.select(F.col("doc_id").alias("node"), "text").join(met.select("node").distinct(), "node", "left_semi")
-    texts = materialise(texts.dropDuplicates(["node"]))
-    support = materialise(supported(met.where(f"m > {CROWD}").select("node").distinct(), texts))
-    size_of = nodes.groupBy("node").agg(F.max("n_shingles").alias("n"))
-    met = met.join(size_of, "node").join(support, "node", "left").select("band", "node", "n", "shared")
-    met = materialise(met.withColumn("own", F.coalesce(1 - F.col("shared") / F.col("n"), F.lit(0.0))))
-    # the hub of a bucket is the member with the least of its own; every node tries the best hub it meets
-    hub = met.groupBy("band").agg(F.min(F.struct("own", "node", "n", "shared")).alias("hub"))
-    star = met.join(hub, "band").where(F.col("node") != F.col("hub.node")).where(can_overlap(common_bound(F.col("shared"), F.col("hub.shared"), F.col("n"), F.col("hub.n")), F.col("n"), F.col("hub.n")))
-    fresh = materialise(star.groupBy("node").agg(F.min(F.struct("hub.own", "hub.node")).alias("hub")).select(F.col("hub.node").alias("a"), F.col("node").alias("b")))
-    ordered = lambda pairs: pairs.select(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
-    links, label, tested, done = None, None, ordered(fresh), None
-    while True:
-        side = lambda n: nodes.select(F.col("node").alias(n), F.col("reg").alias(f"r{n}"), F.col("n_shingles").alias(f"n{n}"))
-        sized = fresh.join(side("a"), "a").join(side("b"), "b").where(f"100 * least(na, nb) >= {PERCENT} * greatest(na, nb)")
-        likely = materialise(sized.select("a", "b", "ra", "rb", "na", "nb").mapInArrow(_likely_batches, "a long, b long").distinct())
-        found = materialise(confirm(likely, texts))
-        if label is None or found.limit(1).count():
-            links = found if links is None else links.unionByName(found)
-            label = components(links)
-        # buckets that hold more than one component, and their members outside the largest
-        now = met.join(label, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
-        mixed = now.groupBy("band").agg(F.min("comp").alias("first"), F.max("comp").alias("last")).where("first < last").select("band")
-        part = materialise(now.join(mixed, "band", "left_semi"))
-        sizes = part.groupBy("band", "comp").agg(F.count("*").alias("k"), F.min("n").alias("least"), F.bool_and(F.col("shared").isNotNull()).alias("counted"))
-        largest = sizes.groupBy("band").agg(F.max_by("comp", F.struct("k", "comp")).alias("main"), F.min("least").alias("least"), F.bool_and("counted").alias("counted"))
-        # a set that shares too little with others here can be linked with none of them, if all here were counted
-        most = F.when(F.col("counted"), F.col("shared")).otherwise(F.col("n"))
-        outside = part.join(largest, "band").where(F.expr("comp != main") & can_overlap(most, F.col("n"), F.greatest(F.col("least"), F.ceil(F.col("n") * PERCENT / 100))))
-        if done is not None:
-            outside = outside.join(done, ["band", "node"], "left_anti")
-        turn = outside.withColumn("rank", F.row_number().over(Window.partitionBy("band").orderBy("node"))).where(F.col("rank") <= HUBS)
-        turn = materialise(turn.select("band", F.col("node").alias("x"), F.col("comp").alias("cx"), F.col("n").alias("nx"), F.col("shared").alias("sx")))
-        if not turn.limit(1).count():
-            break
-        done = turn.select("band", F.col("x").alias("node")) if done is None else done.unionByName(turn.select("band", F.col("x").alias("node")))
-        can = F.expr("comp != cx") & can_overlap(common_bound(F.col("shared"), F.col("sx"), F.col("n"), F.col("nx")), F.col("n"), F.col("nx"))
-        pairs = part.join(turn, (part.band == turn.band) & can).select(F.col("x").alias("a"), F.col("node").alias("b"))
-        pairs = pairs.groupBy(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi")).agg(F.min("a").alias("a"))
-        fresh = materialise(pairs.join(tested, ["lo", "hi"], "left_anti").select("a", F.when(F.col("a") == F.col("lo"), F.col("hi")).otherwise(F.col("lo")).alias("b")))
-        tested = tested.unionByName(ordered(fresh))
-    shared = groups.where("copies > 1").select("d1", "d2", "n_shingles", "rep")
-    out = rows.drop("reg").join(shared, ["d1", "d2", "n_shingles"], "left")
-    out = out.withColumn("rep", F.when(F.col("n_shingles") > 0, F.coalesce("rep", "doc_id")).otherwise(F.col("doc_id")))
-    out = out.join(label.select(F.col("node").alias("rep"), "comp"), "rep", "left").withColumn("component_id", F.coalesce("comp", "rep"))
-    return out.select("doc_id", "n_shingles", "component_id", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"))
+    company = materialise(nodes.join(met.select("node").distinct(), "node", "left_semi").select("node", F.col("n_shingles").alias("n"), "reg", "doc_id", "mark"))
+    # the one shuffle of whole texts before comparison: one text of each set that meets others
+    texts = materialise(docs.join(company.select("doc_id", "mark", "node"), ["doc_id", "mark"]).select("node", "text").dropDuplicates(["node"]))
+    common = common_with_others(met.where(f"m > {CROWD}").select("node").distinct(), texts)
+    sizes = company.select("node", "n")
+    shared = common.groupBy("node").agg(F.count("*").alias("shared"))
+    met = met.join(sizes, "node").join(shared, "node", "left")
+    met = materialise(met.select("band", "m", "node", "n", F.coalesce(1 - F.col("shared") / F.col("n"), F.lit(0.0)).alias("own")))
+    # every node tries one hub: of the members it meets, the one with least of its own
+    hub = met.groupBy("band").agg(F.min(F.struct("own", "node")).alias("hub"))
+    star = met.join(hub, "band").where(F.col("node") != F.col("hub.node")).groupBy("node").agg(F.min("hub").alias("hub"))
+    star = materialise(star.select(F.col("hub.node").alias("a"), F.col("node").alias("b")))
+    links = linked(star, company, texts).unionByName(_same_document(some, nodes))
+    label = components(links)
+    placed = lambda df: df.join(label, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    rest = bucket_pairs(placed(met)).unionByName(early_pairs(materialise(placed(prefixes(common, sizes))))).distinct()
+    more = linked(materialise(rest), company, texts)
+    label = components(links.unionByName(more))
+    first = nodes.join(label, "node").groupBy("comp").agg(F.min("doc_id").alias("component_id"))
+    one = label.join(first, "comp").select("node", "component_id")
+    known = nodes.join(one, "node", "left").where("copies > 1 or component_id is not null").select("d1", "d2", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    out = rows.select("doc_id", "n_shingles", "d1", "d2").join(known, ["d1", "d2", "n_shingles"], "left")
+    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id"))
+    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
 ship(__name__)
