@@ -45,14 +45,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """A fresh path below the shared checkpoint folder; a local one only if none is set."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        held = spark.sparkContext.getCheckpointDir()
-        if held is None:
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="weightdraw-"))
-            held = spark.sparkContext.getCheckpointDir()
-        base = held
+    """A fresh path below ``spark.checkpoint.dir`` or the context's checkpoint folder.
+
+    Where neither is set, a local master (tests) gets a temporary folder and a cluster the
+    warehouse, which its machines share.
+    """
+    context = spark.sparkContext
+    base = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
+    if not base and context.master.startswith("local"):
+        context.setCheckpointDir(tempfile.mkdtemp(prefix="weightdraw-"))
+        base = context.getCheckpointDir()
+    base = base or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_weightdraw"
     return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
 
 
@@ -67,6 +70,13 @@ def materialise(df: DataFrame, partition_by: str | None = None) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def unused(df: DataFrame, base: str) -> str:
+    """``base``, lengthened until no column of ``df`` begins with it: names for temporary columns."""
+    while any(c.lower().startswith(base.lower()) for c in df.columns):
+        base += "_"
+    return base
+
+
 def held_out(doc_id: Column, modulus: int, remainder: int) -> Column:
     """The contract's fold: crc32 of the id as text, modulo; a null id counts as not held out."""
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % modulus == remainder, F.lit(False))
@@ -76,12 +86,15 @@ def bounded_labelled(docs: DataFrame, labels: DataFrame, label: str, modulus: in
     """(doc_id, text, y) of labelled training rows: at most ``bound`` of them, by hash order.
 
     The bound is the documented sample size for fitting a classifier; the hash order
-    makes the choice independent of partitioning.  Repeated label rows count once.
+    makes the choice independent of partitioning.  Repeated label rows count once, and so
+    do repeated rows of a document: of several texts the least hash stands for the id, so
+    the joined rows keep the bound as well.
     """
     y = labels.select(F.col("doc_id").alias("_id"), F.col(label).cast("int").alias("y")).where("y is not null")
     y = y.where(~held_out(F.col("_id"), modulus, remainder)).groupBy("_id").agg(F.max("y").alias("y"))
     chosen = y.orderBy(F.xxhash64("_id"), "_id").limit(bound)
-    return docs.select("doc_id", "text").where("text is not null").join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).drop("_id")
+    rows = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(chosen), F.col("doc_id") == F.col("_id"))
+    return rows.groupBy("doc_id", "y").agg(F.min_by("text", F.xxhash64("text")).alias("text")).select("doc_id", "text", "y")
 
 
 ship(__name__)

@@ -56,11 +56,11 @@ def statistics(text: Column) -> dict[str, Column]:
     }
 
 
-NAMES = ["n_words", "distinct_words", "word_length", "symbols", "bangs", "capitals", "digits", "stops", "pipes", "n_lines", "distinct_lines", "repeats"]
+def known_statistics(text: Column) -> Column:
+    return F.struct(*[c.alias(n) for n, c in statistics(text).items()])
 
 
-def with_statistics(docs: DataFrame, prefix: str = "_q_") -> DataFrame:
-    return docs.withColumns({prefix + n: c for n, c in statistics(F.col("text")).items()})
+NAMES = ["n_words", "distinct_words", "word_length", "symbols", "bangs", "capitals", "digits", "stops", "pipes", "n_lines", "distinct_lines", "repeats"]
 
 
 @dataclass
@@ -71,18 +71,23 @@ class RuleModel:
     rules: list[tuple[Rule, float]]
     fitted: bool = True
 
-    def compile(self, prefix: str = "_q_") -> Column:
-        """The score as a Spark column over the statistics' columns."""
+    def compile(self, known: Column) -> Column:
+        """The score as a Spark column over a struct of the statistics."""
         if not self.fitted:
             return F.lit(1.0)
 
         def holds(rule: Rule) -> Column:
-            tests = [F.col(prefix + NAMES[f]) <= t if low else F.col(prefix + NAMES[f]) > t for f, low, t in rule]
+            tests = [known[NAMES[f]] <= t if low else known[NAMES[f]] > t for f, low, t in rule]
             return reduce(lambda a, b: a & b, tests)
 
         total = reduce(lambda a, b: a + b, [F.when(holds(r), F.lit(w)).otherwise(F.lit(0.0)) for r, w in self.rules], F.lit(self.intercept))
         return 1 / (1 + F.exp(-total))
 
+    def score(self, text: Column) -> Column:
+        """The score of a text.  The statistics are bound as a lambda's variable, so however
+        the optimiser moves the expression (into a filter, say), each is computed once."""
+        return F.transform(F.array(known_statistics(text)), self.compile)[0]
+
 
 def _simplify(path: Rule) -> Rule:
     """The tightest bound per feature and side, in a fixed order."""
@@ -116,14 +121,19 @@ def fit_rules(x: np.ndarray, y: np.ndarray) -> RuleModel:
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> RuleModel:
-    rows = with_statistics(bounded_labelled(docs, labels, "quality", MODULUS, REMAINDER, sample))
-    table = rows.select("doc_id", "y", *["_q_" + n for n in NAMES]).toPandas().sort_values("doc_id", kind="stable")
-    return fit_rules(table[["_q_" + n for n in NAMES]].to_numpy(float), table["y"].to_numpy(float))
+    rows = bounded_labelled(docs, labels, "quality", MODULUS, REMAINDER, sample)
+    table = rows.select("doc_id", "y", *[c.alias(n) for n, c in statistics(F.col("text")).items()]).toPandas().sort_values("doc_id", kind="stable")
+    return fit_rules(table[NAMES].to_numpy(float), table["y"].to_numpy(float))
 
 
 def add_score(docs: DataFrame, model: RuleModel, name: str = "_score") -> DataFrame:
-    """The documents, all columns, with a score; temporary columns are dropped."""
-    return with_statistics(docs).withColumn(name, model.compile()).drop(*["_q_" + n for n in NAMES])
+    """The documents, all columns, with a score (a column of that name is replaced)."""
+    return docs.withColumn(name, model.score(F.col("text")))
+
+
+def keep(docs: DataFrame, model: RuleModel) -> DataFrame:
+    """The documents, all columns and no other, that reach the threshold."""
+    return docs.where(model.score(F.col("text")) >= THRESHOLD)
 
 
 def score(docs: DataFrame, labels: DataFrame) -> DataFrame:
