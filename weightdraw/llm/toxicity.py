@@ -27,7 +27,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_labelled, held_out, share, ship
+from .common import bounded_labelled, held_out, share, ship, unused
 from .trees import Tree, boost, isotonic, margin
 
 MODULUS, REMAINDER, THRESHOLD = 5, 0, 0.5
@@ -77,45 +77,51 @@ def learn_lexicon(train: DataFrame, entries: int = ENTRIES) -> tuple[list[str],
     return [r.entry for r in rows if r.entry[-1] != "-"], [r.entry[:-1] for r in rows if r.entry[-1] == "-"]
 
 
-def features(text: Column, words: list[str], stems: list[str]) -> dict[str, Column]:
+def features(text: Column, own: str, words: list[str], stems: list[str]) -> dict[str, Column]:
+    """The features; ``own`` begins the names of the bound columns: its words, its lexicon words."""
+    said, hits = own + "words", own + "hits"
     text = F.coalesce(text.cast("string"), F.lit(""))
     low = F.lower(text)
     listed = lambda w: w.isin(words) if words else F.lit(False)
     stemmed = lambda w: reduce(lambda a, b: a | b, [F.substring(w, 1, n).isin([s for s in stems if len(s) == n]) for n in STEMS if any(len(s) == n for s in stems)], F.lit(False))
-    near = lambda i: F.exists(F.slice("_w", F.greatest(i - NEAR + 1, F.lit(1)), 2 * NEAR + 1), lambda x: x.isin(SECOND))
-    n, size = F.greatest(F.size("_w"), F.lit(1)), F.greatest(F.length(text), F.lit(1))
+    near = lambda i: F.exists(F.slice(said, F.greatest(i - NEAR + 1, F.lit(1)), 2 * NEAR + 1), lambda x: x.isin(SECOND))
+    n, size = F.greatest(F.size(said), F.lit(1)), F.greatest(F.length(text), F.lit(1))
     count = lambda pattern: F.regexp_count(text, F.lit(pattern))
-    masked = F.regexp_extract_all(low, F.lit(r"\p{L}+[0-9@$*][\p{L}0-9@$*]*\p{L}"), F.lit(0))
+    # possessive and anchored at word starts, so a word of a million letters is one pass
+    masked = F.regexp_extract_all(low, F.lit(r"(?<!\p{L})\p{L}++[0-9@$*][\p{L}0-9@$*]*\p{L}"), F.lit(0))
     hidden = F.size(F.filter(masked, lambda w: listed(F.translate(w, "013457@$*", "oieastas")) | listed(F.regexp_replace(w, r"[^\p{L}]", ""))))
-    apart = F.regexp_extract_all(low, F.lit(r"(?<!\p{L})(?:\p{L}[ ._*-]){3,}\p{L}(?!\p{L})"), F.lit(0))
+    apart = F.regexp_extract_all(low, F.lit(r"(?<!\p{L})\p{L}(?:[ ._*-]\p{L}(?!\p{L})){3,}+"), F.lit(0))
     spaced = F.size(F.filter(apart, lambda w: listed(F.regexp_replace(w, r"[^\p{L}]", ""))))
     return {
-        "lexicon": F.size("_hits") / n,
-        "lexicon_hits": F.size("_hits").cast("double"),
-        "lexicon_kinds": F.size(F.array_distinct("_hits")).cast("double"),
-        "stem": F.size(F.filter("_w", stemmed)) / n,
-        "stem_hits": F.size(F.filter("_w", stemmed)).cast("double"),
-        "near_you": F.size(F.filter("_w", lambda w, i: listed(w) & near(i))).cast("double"),
+        "lexicon": F.size(hits) / n,
+        "lexicon_hits": F.size(hits).cast("double"),
+        "lexicon_kinds": F.size(F.array_distinct(hits)).cast("double"),
+        "stem": F.size(F.filter(said, stemmed)) / n,
+        "stem_hits": F.size(F.filter(said, stemmed)).cast("double"),
+        "near_you": F.size(F.filter(said, lambda w, i: listed(w) & near(i))).cast("double"),
         "capitals": count(r"\p{Lu}") / size,
         "bangs": count(r"[!?]") / n,
         "stops": count(r"[.,;:]") / n,
         "hidden": hidden.cast("double"),
         "spaced": spaced.cast("double"),
-        "n_words": F.size("_w").cast("double"),
+        "n_words": F.size(said).cast("double"),
     }
 
 
-def with_features(docs: DataFrame, words: list[str], stems: list[str]) -> DataFrame:
-    docs = docs.withColumn("_w", words_of(F.col("text")))
-    docs = docs.withColumn("_hits", F.filter("_w", lambda w: w.isin(words)) if words else F.array().cast("array<string>"))
-    return docs.withColumns({"_t_" + n: c for n, c in features(F.col("text"), words, stems).items()}).drop("_w", "_hits")
+def with_features(docs: DataFrame, own: str, words: list[str], stems: list[str]) -> DataFrame:
+    """``docs`` with one column a feature, its name prefixed with ``own``."""
+    said, hits = own + "words", own + "hits"
+    docs = docs.withColumn(said, words_of(F.col("text")))
+    docs = docs.withColumn(hits, F.filter(said, lambda w: w.isin(words)) if words else F.array().cast("array<string>"))
+    return docs.withColumns({own + n: c for n, c in features(F.col("text"), own, words, stems).items()}).drop(said, hits)
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> ToxicityModel:
     train = bounded_labelled(docs, labels, "toxic", MODULUS, REMAINDER, sample)
     words, stems = learn_lexicon(train)
-    table = with_features(train, words, stems).select("doc_id", "y", *["_t_" + n for n in FEATURES]).toPandas().sort_values("doc_id", kind="stable")
-    x, y = table[["_t_" + n for n in FEATURES]].to_numpy(float), table["y"].to_numpy(float)
+    prefix = "t_"
+    table = with_features(train, prefix, words, stems).select("doc_id", "y", *[prefix + n for n in FEATURES]).toPandas().sort_values("doc_id", kind="stable")
+    x, y = table[[prefix + n for n in FEATURES]].to_numpy(float), table["y"].to_numpy(float)
     if len(np.unique(y)) < 2:
         return ToxicityModel([], [], 0.0, [], (np.zeros(1), np.zeros(1)), fitted=False)
     base, trees = boost(x, y)
@@ -128,7 +134,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> ToxicityMod
 
 
 def add_score(docs: DataFrame, model: ToxicityModel, name: str = "_score") -> DataFrame:
-    """The documents, all columns, with a calibrated score; temporary columns are dropped."""
+    """The documents, all columns, with a calibrated score (a column of that name is replaced)."""
     if not model.fitted:
         return docs.withColumn(name, F.lit(0.0))
     held = share(docs.sparkSession, model)
@@ -137,7 +143,15 @@ def add_score(docs: DataFrame, model: ToxicityModel, name: str = "_score") -> Da
         return pd.Series(held().probability(np.stack([c.to_numpy(float) for c in columns], axis=1)))
 
     udf = F.pandas_udf(run, "double")
-    return with_features(docs, model.words, model.stems).withColumn(name, udf(*["_t_" + n for n in FEATURES])).drop(*["_t_" + n for n in FEATURES])
+    own = unused(docs, "_t_")
+    names = [own + n for n in FEATURES]
+    return with_features(docs, own, model.words, model.stems).withColumn(name, udf(*names)).drop(*names)
+
+
+def keep(docs: DataFrame, model: ToxicityModel) -> DataFrame:
+    """The documents, all columns and no other, that stay below the threshold."""
+    name = unused(docs, "_toxicity")
+    return add_score(docs, model, name).where(F.col(name) < THRESHOLD).drop(name)
 
 
 def score(docs: DataFrame, labels: DataFrame) -> DataFrame:
