@@ -8,9 +8,10 @@ mergeable, so each task keeps one wrapper per host and the partial wrappers of a
 are aligned with each other in two steps; all pages take part and a host with a third of
 all pages is many small inputs.
 
-The wrapper says where a host's pages carry their text: the repeated or variable group
-that holds the article.  Extraction walks each whole page, keeps the text below that
-group, and drops menus, headers, footers, sidebars, notices, adverts, forms, scripts,
+The wrapper says where a host's pages carry their text: the group with the marked article,
+or else the one that holds most of the text that varies (its slots; texts that never vary
+are the host's own furniture and count only where nothing varies).  Extraction walks each
+whole page, keeps the text below that group, and drops menus, headers, footers, sidebars, notices, adverts, forms, scripts,
 styles and reader comments by tag, role and class.  A page without that group is treated
 by its own one-page wrapper.
 
@@ -22,10 +23,12 @@ empty table gives an empty result.  Extra columns are ignored.
 
 from __future__ import annotations
 
+import bisect
 import html as entities
 import json
 import re
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -34,10 +37,10 @@ from pyspark.sql import functions as F
 
 from .common import materialise, ship
 
-#: Hosts that a task keeps before it hands on its partial wrappers; hosts that may be broadcast.
-HOSTS, BROADCAST_HOSTS = 2_000, 100_000
-#: Groups of tokens at one level that alignment compares one by one; longest repeated group.
-WIDE, GROUP = 60, 3
+#: Hosts that a task keeps before it hands on its partial wrappers; bytes of paths that may be broadcast.
+HOSTS, BROADCAST = 2_000, 16 << 20
+#: Longest repeated group; deepest nesting that is told apart.
+GROUP, DEPTH = 3, 200
 
 #: Element and class names: fixed values.
 VOID = set("area base br col embed hr img input link meta param source track wbr".split())
@@ -59,7 +62,10 @@ CONTENT = set("content article post entry story main articlebody body".split())
 CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "thead": {"tr", "td", "th"}, "tbody": {"thead", "tr", "td", "th"}, "tfoot": {"tbody", "tr", "td", "th"}}
 HOLDERS = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"tr", "table"}, "th": {"tr", "table"}, "option": {"select"}, "thead": {"table"}, "tbody": {"table"}, "tfoot": {"table"}}
 
-TAG = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<(/?)([a-zA-Z][^\s/>]*)([^>]*)>", re.S)
+TAG = re.compile(r"</?([a-zA-Z][^\s/>]*)")
+#: What follows a tag's name: quotes count after an equals sign.  Possessive, so it never goes back.
+INSIDE = re.compile(r"(?>[^>=]*+(?:=\s*+(?>\"[^\"]*+\"|'[^']*+'|)[^>=]*+)*+)>")
+RAW_END = {name: re.compile(rf"</{name}[\s>/]", re.I) for name in RAW}
 ATTRIBUTE = re.compile(r"\b(class|id|role|itemprop)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 WORD = re.compile(r"[a-z]+")
 
@@ -89,35 +95,71 @@ def _describe(name: str, attributes: str) -> tuple[str, bool]:
         held = (name + ("." + mark if mark else "") + ("!" if main else ""), noise)
         if len(_seen) > 10_000:
             _seen.clear()
-        _seen[name, attributes] = held
+        if len(attributes) < 1_000:
+            _seen[name, attributes] = held
     return held
 
 
+def tags(page: str) -> Iterator[tuple[str, str | None, str, int]]:
+    """(text before, name or None, attributes, end) of each tag; a closing tag's name begins with ``/``.
+
+    The consumer may send back a position to go on from.  Every character is looked at a
+    bounded number of times: once a tag turns out not to end outside quotes, quotes no
+    longer count on this page.
+    """
+    start = at = 0
+    quotes = True
+    while True:
+        low = page.find("<", at)
+        if low < 0:
+            yield page[start:], None, "", len(page)
+            return
+        follows = page[low + 1 : low + 2]
+        if follows == "!" or follows == "?":
+            mark = "-->" if page.startswith("<!--", low) else ">"
+            end = page.find(mark, low + 2)
+            name, attributes, end = None, "", len(page) if end < 0 else end + len(mark)
+        else:
+            hit = TAG.match(page, low)
+            if hit is None:
+                at = low + 1
+                continue
+            inside = INSIDE.match(page, hit.end()) if quotes else None
+            quotes = inside is not None
+            end = inside.end() if inside else page.find(">", hit.end()) + 1
+            if not end:
+                yield page[start:low], None, "", len(page)
+                return
+            name, attributes = ("/" if follows == "/" else "") + hit[1].lower(), page[hit.end() : end - 1]
+        again = yield page[start:low], name, attributes, end
+        start = at = end if again is None else again
+
+
 def parse(page: str) -> Node:
     """A tolerant element tree of a page."""
     root = Node("#root")
     stack = [root]
-    at = 0
-
-    def text(piece: str) -> None:
-        if piece:
-            stack[-1].children.append(Node("#", text=entities.unescape(piece) if "&" in piece else piece))
-
+    flat: Counter = Counter()  # open elements below DEPTH, which are not on the stack
+    found, again = tags(page), None
     while True:
-        hit = TAG.search(page, at)
-        if hit is None:
-            text(page[at:])
+        try:
+            piece, name, attributes, at = found.send(again)
+        except StopIteration:
             return root
-        text(page[at : hit.start()])
-        at = hit.end()
-        name = hit[2] or hit[5]
+        again = None
+        if piece:
+            stack[-1].children.append(Node("#", text=entities.unescape(piece) if "&" in piece else piece))
         if name is None:
             continue
-        name = name.lower()
-        if hit[1] or hit[4]:
+        if name[0] == "/":
+            name = name[1:]
+            if flat[name]:
+                flat[name] -= 1
+                continue
             for k in range(len(stack) - 1, 0, -1):
                 if stack[k].name == name:
                     del stack[k:]
+                    flat.clear()
                     break
                 if stack[k].name in ("table", "article", "body") and name not in BLOCK:
                     break
@@ -135,19 +177,21 @@ def parse(page: str) -> Node:
                     break
                 if stack[k].name in CLOSES[name]:
                     del stack[k:]
-        attributes = hit[3] or hit[6] or ""
         label, noise = _describe(name, attributes)
         node = Node(name, label, noise)
         stack[-1].children.append(node)
         if name in RAW:
-            end = re.compile(rf"</{re.escape(name)}[\s>/]", re.I).search(page, at)
+            end = RAW_END[name].search(page, at)
             if end is None:
                 return root
             if name not in DROPPED and name != "title":
                 node.children.append(Node("#", text=entities.unescape(page[at : end.start()])))
-            at = page.find(">", end.start()) + 1 or len(page)
+            again = page.find(">", end.start()) + 1 or len(page)
         elif name not in VOID and not attributes.endswith("/"):
-            stack.append(node)
+            if len(stack) < DEPTH or (noise and not stack[-1].noise):
+                stack.append(node)
+            else:
+                flat[name] += 1
 
 
 # A wrapper item is [label, quantifier, children, constant, mass]: quantifier "", "?", "+"
@@ -199,30 +243,48 @@ def optional(item: list) -> list:
 
 
 def align(a: list, b: list) -> list:
-    """Align two token sequences; what only one of them has becomes optional."""
-    if [x[0] for x in a] == [x[0] for x in b]:
-        return [merge(x, y) for x, y in zip(a, b, strict=True)]
-    if len(a) > WIDE or len(b) > WIDE:  # very wide levels: by label, in the order of the first
-        by: dict[str, list] = {}
-        for x in [*a, *b]:
-            by[x[0]] = optional(merge(by[x[0]], x)) if x[0] in by else optional(x)
-        return list(by.values())
+    """Align two token sequences; what only one of them has becomes optional.
+
+    Ends that agree are matched first.  At a mismatch each side's next token is looked up
+    in the other; the nearer of the two is where the sequences go on together, and what
+    lies before it is optional.
+    """
+    x, y = [i[0] for i in a], [i[0] for i in b]
+    if x == y:
+        return [merge(p, q) for p, q in zip(a, b, strict=True)]
     n, m = len(a), len(b)
-    best = [[0] * (m + 1) for _ in range(n + 1)]
-    for i in range(n - 1, -1, -1):
-        for j in range(m - 1, -1, -1):
-            best[i][j] = best[i + 1][j + 1] + 1 if a[i][0] == b[j][0] else max(best[i + 1][j], best[i][j + 1])
+    tail = 0
+    while tail < min(n, m) and x[n - 1 - tail] == y[m - 1 - tail]:
+        tail += 1
+    n, m = n - tail, m - tail
+    places: tuple[dict, dict] = ({}, {})
+    for labels, size, held in ((x, n, places[0]), (y, m, places[1])):
+        for k in range(size):
+            held.setdefault(labels[k], []).append(k)
+
+    def ahead(held: dict, label: str, at: int) -> int | None:
+        own = held.get(label, ())
+        k = bisect.bisect_left(own, at)
+        return own[k] if k < len(own) else None
+
     out, i, j = [], 0, 0
-    while i < n or j < m:
-        if i < n and j < m and a[i][0] == b[j][0] and best[i][j] == best[i + 1][j + 1] + 1:
+    while i < n and j < m:
+        if x[i] == y[j]:
             out.append(merge(a[i], b[j]))
             i, j = i + 1, j + 1
-        elif j == m or (i < n and best[i + 1][j] >= best[i][j + 1]):
-            out.append(optional(a[i]))
-            i += 1
+            continue
+        p, q = ahead(places[0], y[j], i), ahead(places[1], x[i], j)
+        if p is None and q is None:
+            out += [optional(a[i]), optional(b[j])]
+            i, j = i + 1, j + 1
+        elif q is None or (p is not None and p - i <= q - j):
+            out += map(optional, a[i:p])
+            i = p
         else:
-            out.append(optional(b[j]))
-            j += 1
+            out += map(optional, b[j:q])
+            j = q
+    out += map(optional, a[i:n] + b[j:m])
+    out += [merge(p, q) for p, q in zip(a[n:], b[m:], strict=True)]
     return repeated(out)
 
 
@@ -233,12 +295,21 @@ def expression(item: list) -> str:
     return word + (f"({inner})" if inner else "") + item[1]
 
 
+def varying(item: list, held: dict[int, int]) -> int:
+    """Characters of text below an item that are slots, noise left out; noted by item in ``held``."""
+    own = item[4] * (item[3] is None) if item[0] == "#" else sum(varying(k, held) for k in item[2])
+    held[id(item)] = 0 if item[0].endswith("~") else own
+    return held[id(item)]
+
+
 def region(wrapper: list) -> list[str]:
     """Labels from the top down to the group that carries the text.
 
     A marked main element with the most text wins (the outermost of nested ones);
-    otherwise the walk goes down as long as one child holds most of the text.
+    otherwise the walk goes down as long as one child holds most of the varying text.
     """
+    slots: dict[int, int] = {}
+    mass = (lambda k: slots[id(k)]) if varying(wrapper, slots) else (lambda k: k[4])
     found: list[tuple[int, list[str]]] = []
     todo = [(wrapper, [wrapper[0]])]
     while todo:
@@ -247,17 +318,16 @@ def region(wrapper: list) -> list[str]:
             continue
         if item[0].split(".")[0].rstrip("!") in MAIN or item[0].endswith("!"):
             strong = item[0].split(".")[0].rstrip("!") in MAIN
-            found.append((item[4] * (4 if strong else 1), path))
+            found.append((mass(item) * (4 if strong else 1), path))
             if strong:
                 continue
         todo += [(k, [*path, k[0]]) for k in item[2]]
-    whole = wrapper[4]
-    found = [f for f in found if f[0] * 2 >= whole]
+    found = [f for f in found if f[0] * 2 >= mass(wrapper)]
     if found:
         return max(found, key=lambda f: (f[0], -len(f[1])))[1]
     path, item = [wrapper[0]], wrapper
     while True:
-        heavy = [k for k in item[2] if k[0] != "#" and not k[0].endswith("~") and k[4] * 10 >= item[4] * 7 and k[1] in ("", "?")]
+        heavy = [k for k in item[2] if k[0] != "#" and not k[0].endswith("~") and mass(k) * 10 >= mass(item) * 7 and k[1] in ("", "?")]
         if not heavy or heavy[0][0].split(".")[0] in ("p", "li", "td", "h1", "h2", "h3", "pre", "span", "b", "i", "a", "em", "strong", "blockquote"):
             return path
         item = heavy[0]
@@ -321,7 +391,7 @@ def _wrapper_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBat
 
 
 def _merge_group(key: tuple, table: pa.Table) -> pa.Table:
-    every = [json.loads(w) for w in table.column("wrapper").to_pylist()]
+    every = [json.loads(w) for w in sorted(table.column("wrapper").to_pylist())]  # whatever the order of arrival
     whole = every[0]
     for other in every[1:]:
         whole = merge(whole, other)
@@ -368,7 +438,8 @@ def extract(pages: DataFrame) -> DataFrame:
     """page_id, url, text, n_chars of every page."""
     pages = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
     found = materialise(regions(infer(pages)).select(F.col("host").alias("_host"), "path"))
-    small = found.count() <= BROADCAST_HOSTS
+    size = found.agg(F.count("*") * 64 + F.coalesce(F.sum(F.octet_length("_host") + F.octet_length("path")), F.lit(0))).first()[0]
+    small = size <= BROADCAST
     rows = with_host(pages).join(F.broadcast(found) if small else found, "_host", "left")
     return rows.select("page_id", "url", "html", "path").mapInArrow(_extract_batches, "page_id long, url string, text string, n_chars long")
 
