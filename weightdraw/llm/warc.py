@@ -6,8 +6,9 @@ files are plain WARC 1.1 and reach any store Spark can write to.  Of records wit
 payloads the one with the smallest page_id is a response, the others are revisits that
 name it.
 
-``read_archives`` parses whole files (a bounded number of records each), with the
-byte offset and length of every record, and takes the digest of every payload anew.
+``read_archives`` parses whole files (bounded bytes each: large payloads are written apart,
+fewer to a file), with the byte offset and length of every record, and takes the digest of
+every payload anew.  ``check_revisits`` holds every revisit against the response it names.
 
 ``build_index`` sorts capture lines by reversed-host key, packs them into compressed
 blocks and keeps a sparse directory of (first key, last key, block); both are tables in
@@ -15,7 +16,8 @@ the shared folder.  ``lookup`` searches the directory by bisection, reads only t
 that can hold the key, bisects inside them and reads the record's bytes by range.
 
 Defined results for odd rows: null and empty html are empty payloads (one equal group);
-a null url is the empty key; repeated page rows are records of their own, every row with
+a null url is the empty key; line breaks and per cent signs of a url are written per cent
+encoded and decoded again; repeated page rows are records of their own, every row with
 the smallest page_id of its payload being a response; a null page_id is written as such,
 and is a response only if its payload has no other page_id; an empty table gives empty
 archives.  Extra columns are ignored.
@@ -36,8 +38,10 @@ from pyspark.sql import functions as F
 
 from .common import materialise, shared_dir, ship
 
-#: Records in a file, capture lines in a block, bytes of revisit table that may be broadcast.
-RECORDS, LINES, BROADCAST = 2_000, 3_000, 16 << 20
+#: (bytes of payload up to which, records in a file): a file stays below 64 MB or is one record.
+TIERS = ((32 << 10, 2_000), (512 << 10, 120), (8 << 20, 7), (1 << 62, 1))
+#: Capture lines in a block, bytes of revisit table that may be broadcast.
+LINES, BROADCAST = 3_000, 16 << 20
 CAPTURE = "key string, page_id long, url string, record_type string, refers_to long, payload_bytes long, payload_digest string, file string, offset long, length long"
 EMPTY = "unset"
 
@@ -68,6 +72,13 @@ def _records(pages: DataFrame) -> DataFrame:
     return rows.withColumn("refers_to", F.when(F.col("page_id").isNull() | (F.col("page_id") != F.col("first")), F.col("first")))
 
 
+def quoted(url: Column) -> Column:
+    """The URL on one line: per cent signs and line breaks become per cent codes."""
+    for mark, code in (("%", "%25"), ("\r", "%0D"), ("\n", "%0A")):
+        url = F.replace(url, F.lit(mark), F.lit(code))
+    return url
+
+
 def record_text(row: DataFrame) -> DataFrame:
     """The column ``value``: a whole record without the blank lines that end it."""
     end = "\r\n"
@@ -80,7 +91,7 @@ def record_text(row: DataFrame) -> DataFrame:
         F.concat(F.lit("WARC-Type: "), F.when(revisit, "revisit").otherwise("response")),
         F.concat(F.lit("WARC-Record-ID: "), name("page_id")),
         F.lit("WARC-Date: 1970-01-01T00:00:00Z"),
-        F.concat(F.lit("WARC-Target-URI: "), F.regexp_replace(F.coalesce("url", F.lit("")), r"[\r\n]", "")),
+        F.concat(F.lit("WARC-Target-URI: "), quoted(F.coalesce("url", F.lit("")))),
         F.concat(F.lit("WARC-Payload-Digest: sha1:"), base32_of_hex(F.col("sha"))),
         F.concat(F.lit("WARC-Payload-Bytes: "), size.cast("string")),
         F.when(revisit, F.concat(F.lit("WARC-Refers-To: "), name("refers_to"))),
@@ -92,7 +103,16 @@ def record_text(row: DataFrame) -> DataFrame:
 
 
 def write_archives(pages: DataFrame, path: str) -> None:
-    record_text(_records(pages)).write.option("lineSep", "\r\n\r\n").option("maxRecordsPerFile", RECORDS).text(path)
+    """Files below ``path``, one folder for each size of payload that occurs."""
+    rows = _records(pages)
+    size = F.when(F.col("refers_to").isNotNull(), 0).otherwise(F.octet_length("html"))
+    least, most = rows.agg(F.coalesce(F.min(size), F.lit(0)), F.coalesce(F.max(size), F.lit(0))).first()
+    low = -1
+    for k, (high, records) in enumerate(TIERS):
+        if (most > low and least <= high) or not k:
+            own = rows if low < least and most <= high else rows.where((size > low) & (size <= high))
+            record_text(own).write.option("lineSep", "\r\n\r\n").option("maxRecordsPerFile", records).text(f"{path}/size{k}")
+        low = high
 
 
 def parse(data: bytes) -> Iterator[tuple[int, int, dict[str, str], bytes]]:
@@ -126,14 +146,15 @@ def _capture_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBat
                     digest, size = base64.b32encode(hashlib.sha1(block).digest()).decode(), len(block)
                     if digest != head["WARC-Payload-Digest"].removeprefix("sha1:"):
                         raise ValueError(f"payload of {head['WARC-Record-ID']} does not have its digest")
-                rows.append((_number(head["WARC-Record-ID"]), head["WARC-Target-URI"], head["WARC-Type"], _number(head.get("WARC-Refers-To")), size, digest, file.as_py(), offset, length))
+                url = head["WARC-Target-URI"].replace("%0A", "\n").replace("%0D", "\r").replace("%25", "%")
+                rows.append((_number(head["WARC-Record-ID"]), url, head["WARC-Type"], _number(head.get("WARC-Refers-To")), size, digest, file.as_py(), offset, length))
             columns = list(zip(*rows, strict=True)) or [[] for _ in names]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=names)
 
 
 def read_archives(spark: SparkSession, path: str) -> DataFrame:
     """One capture per record, read back from the files."""
-    files = spark.read.format("binaryFile").load(path).where("length > 0").select("path", "content")
+    files = spark.read.format("binaryFile").load(f"{path}/size*").where("length > 0").select("path", "content")
     plain = CAPTURE.removeprefix("key string, ")
     rows = files.mapInArrow(_capture_batches, plain)
     return rows.select(host_key(F.col("url")).alias("key"), "*")
@@ -211,11 +232,23 @@ def read_record(spark: SparkSession, file: str, offset: int, length: int) -> tup
     return head, block
 
 
+def check_revisits(captures: DataFrame) -> None:
+    """Raises if a revisit does not have the digest and size of the response that it names."""
+    payload = ["payload_digest", "payload_bytes"]
+    said = captures.where("record_type = 'revisit'").select("refers_to", *payload).distinct()
+    held = captures.where("record_type = 'response'").select(F.col("page_id").alias("refers_to"), *payload)
+    lost = said.join(held, ["refers_to", *payload], "left_anti").limit(1).collect()
+    if lost:
+        raise ValueError(f"the payload of a revisit of page {lost[0].refers_to} is not there")
+
+
 def archive_round_trip(pages: DataFrame) -> DataFrame:
-    """Write, read back, index, and return the captures out of the index."""
+    """Write, read back, check, index, and return the captures out of the index."""
     path = shared_dir(pages.sparkSession)
     write_archives(pages, path)
-    return read_index(build_index(read_archives(pages.sparkSession, path)))
+    captures = materialise(read_archives(pages.sparkSession, path))
+    check_revisits(captures)
+    return read_index(build_index(captures))
 
 
 ORACLE = None  # base32 of a SHA-1 has no counterpart in DuckDB; tests compare with hashlib
