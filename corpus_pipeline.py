@@ -22,22 +22,21 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from weightdraw.llm import decontaminate, quality, setsketch, toxicity, unigram
-from weightdraw.llm.common import materialise, table
+from weightdraw.llm.common import materialise, table, unused
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    model = toxicity.fit(docs, table(spark, sf_dir, "labels"))
-    return toxicity.add_score(docs, model, "_toxicity").where(F.col("_toxicity") < toxicity.THRESHOLD).select(*docs.columns)
+    return toxicity.keep(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    model = quality.fit(docs, table(spark, sf_dir, "labels"))
-    return quality.add_score(docs, model, "_quality").where(F.col("_quality") >= quality.THRESHOLD).select(*docs.columns)
+    return quality.keep(docs, quality.fit(docs, table(spark, sf_dir, "labels")))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    dropped = setsketch.near_duplicates(docs).where("not kept").select(F.col("doc_id").alias("_gone"))
-    return docs.join(materialise(dropped.distinct()), F.col("doc_id") == F.col("_gone"), "left_anti").select(*docs.columns)
+    gone = unused(docs, "_gone")
+    dropped = materialise(setsketch.near_duplicates(docs).where("not kept").select(F.col("doc_id").alias(gone)).distinct())
+    return docs.join(dropped, docs["doc_id"] == dropped[gone], "left_anti")
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
