@@ -13,12 +13,16 @@ from decimal import Decimal
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
+from ..functions.stored import materialise
 from ..functions.variates import hash_uniform
 from .items import UNITS, Stats, classify, weight_stats
-from .prefix import block_prefix_sum, blocks_for, boundaries, next_at_or_after, with_block
+from .prefix import block_prefix_sum, blocks_for, boundaries, with_block
 
 WIDE = pa.decimal128(38, 0)
+#: Draw requests (24 bytes each and overhead) that may be broadcast.
+BROADCAST_DRAWS = 200_000
 
 
 # ---- sequential builds, on Python integers ---------------------------------------------
@@ -106,39 +110,54 @@ def alias_by_shard(items: DataFrame, kind: str = "sweep") -> DataFrame:
     return rows.groupBy("shard").applyInArrow(_pack(kind), f"shard int, id {t}, part {UNITS}, alias {t}, cap {UNITS}")
 
 
-# ---- the closed form of the sweep: prefix sums and two as-of lookups --------------------
+# ---- the closed form of the sweep: prefix sums and one as-of pass -------------------------
 
 
-def class_prefixes(items: DataFrame, stats: Stats, blocks: int | None = None) -> tuple[DataFrame, DataFrame]:
-    """(light, heavy) with running deficits d0, d1 and excesses e, in id order."""
-    rows = classify(items, stats)
-    cap = F.lit(Decimal(stats.total)).cast(UNITS)
-    k = blocks_for(stats.n, blocks)
-    light = block_prefix_sum(rows.where("not is_heavy").withColumn("_own", (cap - F.col("mass")).cast(UNITS)), "id", {"d1": F.col("_own")}, k)
-    light = light.withColumn("d0", (F.col("d1") - F.col("_own")).cast(UNITS)).drop("_own")
-    heavy = block_prefix_sum(rows.where("is_heavy").withColumn("_own", (F.col("mass") - cap).cast(UNITS)), "id", {"e": F.col("_own")}, k).drop("_own")
-    return light, heavy
+def closed_form(rows: DataFrame, capacity: int, blocks: int) -> DataFrame:
+    """(bucket, id, part, alias, cap) of the sweep over masses (id, mass) that fill whole buckets.
+
+    Running deficits d of light items and running excesses e of heavy ones come from one
+    pass in id order, written once.  On the axis of both, a light item stands at the
+    deficits before it and a heavy one at its excess, heavy first where they meet.  Then
+    all that the sweep decides lies behind an item on that axis: the next heavy item is
+    the alias, and a heavy item is closed by the bucket whose deficits reach its excess,
+    which ends where the next light item stands (or at the total).  It keeps
+    cap + e - d.  Two shuffles of narrow rows; one row a block reaches the driver.
+    """
+    cap = F.lit(Decimal(capacity)).cast(UNITS)
+    spark = rows.sparkSession
+    rows = rows.select("id", F.col("mass").cast(UNITS).alias("mass")).withColumn("heavy", F.col("mass") > cap)
+    zero = F.lit(0).cast(UNITS)
+    sums = {"d": F.when(F.col("heavy"), zero).otherwise(cap - F.col("mass")), "e": F.when(F.col("heavy"), F.col("mass") - cap).otherwise(zero), "bucket": F.lit(1)}
+    run = block_prefix_sum(rows, "id", sums, blocks)
+    at = F.when(F.col("heavy"), F.col("e")).otherwise(F.col("d") - (cap - F.col("mass"))).cast(UNITS)
+    run = materialise(run.select((F.col("bucket") - 1).cast("long").alias("bucket"), "id", "mass", "heavy", at.alias("at"), F.col("d").alias("upto")))
+    cuts = boundaries(run, "at", blocks)
+    axis = with_block(run, "at", cuts)
+    ends = axis.groupBy("_block").agg(F.min(F.when(F.col("heavy"), F.struct("at", "id"))).alias("heavy"), F.min(F.when(~F.col("heavy"), F.col("at"))).alias("light"), F.max("upto").alias("upto"))
+    ends = {r["_block"]: r for r in ends.collect()}
+    whole = max((int(r["upto"]) for r in ends.values()), default=0)
+    later, heavy, light = [], None, Decimal(whole)
+    for b in range(len(cuts), -1, -1):
+        later.append((b, heavy, light))
+        if b in ends:
+            heavy = ends[b]["heavy"]["id"] if ends[b]["heavy"] else heavy
+            light = light if ends[b]["light"] is None else ends[b]["light"]
+    t = rows.schema["id"].dataType.simpleString()
+    later = F.broadcast(spark.createDataFrame(later, f"_block int, later_heavy {t}, later_light {UNITS}"))
+    # backwards, because only a growing frame is evaluated in one pass
+    behind = Window.partitionBy("_block").orderBy(F.desc("at"), "heavy").rowsBetween(Window.unboundedPreceding, -1)
+    seen = axis.withColumn("_h", F.last(F.when(F.col("heavy"), F.col("id")), ignorenulls=True).over(behind)).withColumn("_l", F.last(F.when(~F.col("heavy"), F.col("at")), ignorenulls=True).over(behind))
+    seen = seen.join(later, "_block")
+    part = F.when(F.col("heavy"), cap + F.col("at") - F.coalesce("_l", "later_light")).otherwise(F.col("mass")).cast(UNITS)
+    out = seen.select("bucket", "id", part.alias("part"), F.coalesce("_h", "later_heavy").alias("alias"))
+    return out.select("bucket", "id", "part", F.when(F.col("part") < cap, F.col("alias")).alias("alias"), cap.alias("cap"))
 
 
 def alias_asof(items: DataFrame, blocks: int | None = None, stats: Stats | None = None) -> DataFrame:
-    """The sweep's table without a sequential pass.
-
-    A light item's alias is the first heavy item whose running excess is above the
-    deficits before it.  A heavy item is closed by the light bucket whose running
-    deficit reaches its excess e: it keeps cap + e - d, and the next heavy item, the
-    first with a larger excess, fills the bucket up.
-    """
+    """The sweep's table without a sequential pass, buckets numbered in id order."""
     stats = stats or weight_stats(items)
-    light, heavy = class_prefixes(items, stats, blocks)
-    cap = F.lit(Decimal(stats.total)).cast(UNITS)
-    k = blocks_for(stats.n, blocks)
-    a = next_at_or_after(light.select("id", "mass", "d0"), heavy.select("id", "e"), "d0", "e", ["id"], strict=True, blocks=k)
-    a = a.select("id", F.col("mass").alias("part"), F.when(F.col("mass") < cap, F.col("found_id")).alias("alias"))
-    b = next_at_or_after(heavy.select("id", "e"), light.select("d1"), "e", "d1", ["d1"], strict=False, blocks=k)
-    b = next_at_or_after(b.select("id", "e", "found_d1"), heavy.select("id", "e"), "e", "e", ["id"], strict=True, blocks=k)
-    part = (cap + F.col("e") - F.coalesce("found_d1", "e")).cast(UNITS)
-    b = b.select("id", part.alias("part"), F.when(part < cap, F.col("found_id")).alias("alias"))
-    return a.unionByName(b).withColumn("cap", cap)
+    return closed_form(classify(items, stats), stats.total, blocks_for(stats.n, blocks))
 
 
 # ---- splits and packets ------------------------------------------------------------------
@@ -146,10 +165,16 @@ def alias_asof(items: DataFrame, blocks: int | None = None, stats: Stats | None
 
 def ranked(items: DataFrame, stats: Stats, blocks: int | None = None) -> DataFrame:
     """Items with class, rank in class (from 1) and running mass in class."""
-    rows = classify(items, stats)
-    k = blocks_for(stats.n, blocks)
-    one = F.lit(1)
-    return block_prefix_sum(rows.where("not is_heavy"), "id", {"rank": one, "prefix": F.col("mass")}, k).unionByName(block_prefix_sum(rows.where("is_heavy"), "id", {"rank": one, "prefix": F.col("mass")}, k))
+    return rank_masses(classify(items, stats), blocks_for(stats.n, blocks))
+
+
+def rank_masses(rows: DataFrame, blocks: int) -> DataFrame:
+    """(id, mass, is_heavy, ...) with rank and running mass in the class, by one pass over both classes."""
+    heavy = lambda x, h: F.when(F.col("is_heavy") == h, x).otherwise(F.lit(0))
+    sums = {"_n0": heavy(F.lit(1), False), "_n1": heavy(F.lit(1), True), "_m0": heavy(F.col("mass"), False), "_m1": heavy(F.col("mass"), True)}
+    run = block_prefix_sum(rows, "id", sums, blocks)
+    pick_ = lambda a, b: F.when(F.col("is_heavy"), F.col(b)).otherwise(F.col(a))
+    return run.withColumn("rank", pick_("_n0", "_n1")).withColumn("prefix", pick_("_m0", "_m1")).drop(*sums)
 
 
 def split_states(rows: DataFrame, stats: Stats, cuts: list[int], block: int | None = None) -> list[tuple[int, int, int, int]]:
@@ -219,20 +244,19 @@ def _runs(ranks: list[int]) -> Iterator[tuple[int, int]]:
         yield start, prev
 
 
-def alias_splitpack(items: DataFrame, packets: int, block: int | None = None, blocks: int | None = None) -> DataFrame:
-    """Split the sweep at n * k / p buckets and pack the p packets independently."""
-    stats = weight_stats(items)
-    rows = ranked(items, stats, blocks)
-    cuts = [stats.n * k // packets for k in range(1, packets)]
-    states = [(0, 0, 0, None), *split_states(rows, stats, cuts, block), (stats.n, None, None, None)]
+def split_and_pack(rows: DataFrame, n: int, capacity: int, packets: int, block: int | None = None) -> DataFrame:
+    """Packs ranked rows (id, mass, is_heavy, rank, prefix) that fill n buckets in independent packets."""
+    rows = materialise(rows.select("id", "mass", "is_heavy", "rank", "prefix"))
+    cuts = [n * k // packets for k in range(1, packets)]
+    states = [(0, 0, 0, None), *split_states(rows, Stats(n, capacity, 0, 0), cuts, block), (n, None, None, None)]
     plan = []
     for k, (a, b) in enumerate(zip(states, states[1:], strict=False)):
         plan.append((k, a[1], b[1] if b[1] is not None else 1 << 60, a[2], b[2] if b[2] is not None else 1 << 60, None if a[3] is None else Decimal(a[3])))
-    packet = F.broadcast(items.sparkSession.createDataFrame(plan, f"packet int, i0 long, i1 long, j0 long, j1 long, spill {UNITS}"))
+    packet = F.broadcast(rows.sparkSession.createDataFrame(plan, f"packet int, i0 long, i1 long, j0 long, j1 long, spill {UNITS}"))
     # a heavy item also goes to every packet that it only fills: the one after its range
     inside = F.expr("(not is_heavy and rank > i0 and rank <= i1) or (is_heavy and rank > j0 and rank <= j1 + 1)")
-    routed = rows.join(packet, inside).select("packet", "id", "mass", "is_heavy", F.col("rank").cast("long").alias("rank"), "j1", "spill", F.lit(Decimal(stats.total)).cast(UNITS).alias("cap"))
-    t = _kind(items)
+    routed = rows.join(packet, inside).select("packet", "id", "mass", "is_heavy", F.col("rank").cast("long").alias("rank"), "j1", "spill", F.lit(Decimal(capacity)).cast(UNITS).alias("cap"))
+    t = _kind(rows)
 
     def pack(group: pa.Table) -> pa.Table:
         every = sorted(zip(*(group.column(c).to_pylist() for c in ("rank", "id", "mass", "is_heavy")), strict=True))
@@ -246,9 +270,65 @@ def alias_splitpack(items: DataFrame, packets: int, block: int | None = None, bl
     return routed.groupBy("packet").applyInArrow(pack, f"id {t}, part {UNITS}, alias {t}, cap {UNITS}")
 
 
+def alias_splitpack(items: DataFrame, packets: int, block: int | None = None, blocks: int | None = None) -> DataFrame:
+    """Split the sweep at n * k / p buckets and pack the p packets independently."""
+    stats = weight_stats(items)
+    return split_and_pack(ranked(items, stats, blocks), stats.n, stats.total, packets, block)
+
+
+def block_states(items: DataFrame, stats: Stats, packets: int, width: int) -> tuple[DataFrame, list[tuple[int, int, int, int]]]:
+    """(rows with class and chunk, split states) from sums of ``width`` items instead of item prefixes.
+
+    Only one row a chunk of about ``width`` neighbouring ids and class is summed and
+    scanned; a state is settled by the items of the few chunks in which it lies.  Ranks
+    and running masses of single items are never written.
+    """
+    rows = classify(items, stats).select("id", "mass", "is_heavy")
+    cuts = boundaries(rows, "id", max(1, stats.n // width))
+    rows = with_block(rows, "id", cuts, "chunk")
+    sums = {(r["is_heavy"], r["chunk"]): (r["k"], int(r["m"])) for r in rows.groupBy("is_heavy", "chunk").agg(F.count("*").alias("k"), F.sum("mass").alias("m")).collect()}
+    before: dict[tuple[bool, int], tuple[int, int]] = {}
+    whole = {}
+    for h in (False, True):
+        k = m = 0
+        for c in range(len(cuts) + 1):
+            before[h, c] = k, m
+            a, b = sums.get((h, c), (0, 0))
+            k, m = k + a, m + b
+        whole[h] = k, m
+    carry = F.broadcast(items.sparkSession.createDataFrame([(h, c, k, Decimal(m)) for (h, c), (k, m) in before.items()], f"is_heavy boolean, chunk int, k0 long, m0 {UNITS}"))
+    inside = Window.partitionBy("is_heavy", "chunk").orderBy("id").rowsBetween(Window.unboundedPreceding, 0)
+    placed = rows.join(carry, ["is_heavy", "chunk"])
+
+    def prefix_at(h: bool, ranks: list[int]) -> dict[int, tuple[int, int]]:
+        """Running mass and own mass at some ranks of a class: one job on the chunks that hold them."""
+        held = {r: max((c for c in range(len(cuts) + 1) if before[h, c][0] < r), default=0) for r in ranks if 0 < r <= whole[h][0]}
+        if not held:
+            return {}
+        part = placed.where((F.col("is_heavy") == h) & F.col("chunk").isin(sorted(set(held.values()))))
+        part = part.withColumn("rank", F.col("k0") + F.row_number().over(inside)).withColumn("prefix", (F.col("m0") + F.sum("mass").over(inside)).cast(UNITS))
+        return {r["rank"]: (int(r["prefix"]), int(r["mass"])) for r in part.where(F.col("rank").isin(sorted(held))).select("rank", "prefix", "mass").collect()}
+
+    states = []
+    for cut in [stats.n * k // packets for k in range(1, packets)]:
+        lo, hi, goal = max(0, cut - whole[False][0]), min(cut, whole[True][0]), cut * stats.total
+        while lo < hi:  # each step asks for one heavy and one light rank
+            mid = (lo + hi + 1) // 2
+            used = prefix_at(True, [mid]).get(mid, (0, 0))[0] + prefix_at(False, [cut - mid]).get(cut - mid, (0, 0))[0]
+            lo, hi = (mid, hi) if used <= goal else (lo, mid - 1)
+        heavy, light = prefix_at(True, [lo, lo + 1]), prefix_at(False, [cut - lo])
+        used = heavy.get(lo, (0, 0))[0] + light.get(cut - lo, (0, 0))[0]
+        states.append((cut, cut - lo, lo, used + heavy[lo + 1][1] - goal if lo + 1 in heavy else 0))
+    return placed, states
+
+
 def alias_blockwise(items: DataFrame, packets: int, block: int | None = None) -> DataFrame:
-    """Split-and-pack whose search uses sums of about log2(n) items instead of all prefixes."""
-    return alias_splitpack(items, packets, block or max(1, weight_stats(items).n.bit_length()))
+    """Split-and-pack on sums of blocks of neighbouring items (about log2 n by the method, larger in production)."""
+    stats = weight_stats(items)
+    placed, _ = block_states(items, stats, 1, max(block or 0, stats.n.bit_length(), -(-stats.n // 2_000)))
+    inside = Window.partitionBy("is_heavy", "chunk").orderBy("id").rowsBetween(Window.unboundedPreceding, 0)
+    rows = placed.withColumn("rank", (F.col("k0") + F.row_number().over(inside)).cast(UNITS)).withColumn("prefix", (F.col("m0") + F.sum("mass").over(inside)).cast(UNITS))
+    return split_and_pack(rows, stats.n, stats.total, packets, block)
 
 
 def greedy_pass(items: DataFrame, ranges: int, stats: Stats) -> DataFrame:
@@ -289,35 +369,25 @@ def greedy_pass(items: DataFrame, ranges: int, stats: Stats) -> DataFrame:
     return rows.groupBy("r").applyInArrow(run, f"done boolean, id {t}, part {UNITS}, alias {t}")
 
 
-def alias_greedy(items: DataFrame, ranges: int) -> DataFrame:
-    """Greedy build: each range packs what it can alone, the closed form does the rest."""
+def alias_greedy(items: DataFrame, ranges: int, packets: int | None = None) -> DataFrame:
+    """Greedy build: each range packs what it can alone; what is left is ranked over all
+    ranges, split and packed.  The leftovers fill whole buckets, as the finished ones do."""
     stats = weight_stats(items)
     cap = F.lit(Decimal(stats.total)).cast(UNITS)
-    first = greedy_pass(items, ranges, stats)
-    done, rest = first.where("done").drop("done"), first.where("not done").select("id", F.col("part").alias("mass"))
-    left = alias_of_masses(rest, stats.total)
+    first = materialise(greedy_pass(items, ranges, stats))
+    done, rest = first.where("done").drop("done"), first.where("not done").select("id", F.col("part").alias("mass"), (F.col("part") > cap).alias("is_heavy"))
+    n = rest.count()
+    left = split_and_pack(rank_masses(rest, blocks_for(n)), n, stats.total, packets or ranges, max(1, n.bit_length()))
     return done.withColumn("cap", cap).unionByName(left)
 
 
-def alias_of_masses(rows: DataFrame, capacity: int, blocks: int = 8) -> DataFrame:
-    """The closed form for given masses (id, mass) that fill whole buckets of ``capacity``."""
-    cap = F.lit(Decimal(capacity)).cast(UNITS)
-    light = block_prefix_sum(rows.where(F.col("mass") <= cap), "id", {"d1": cap - F.col("mass")}, blocks)
-    light = light.withColumn("d0", (F.col("d1") - (cap - F.col("mass"))).cast(UNITS))
-    heavy = block_prefix_sum(rows.where(F.col("mass") > cap), "id", {"e": F.col("mass") - cap}, blocks)
-    a = next_at_or_after(light.select("id", "mass", "d0"), heavy.select("id", "e"), "d0", "e", ["id"], True, blocks)
-    a = a.select("id", F.col("mass").alias("part"), F.when(F.col("mass") < cap, F.col("found_id")).alias("alias"))
-    b = next_at_or_after(heavy.select("id", "e"), light.select("d1"), "e", "d1", ["d1"], False, blocks)
-    b = next_at_or_after(b.select("id", "e", "found_d1"), heavy.select("id", "e"), "e", "e", ["id"], True, blocks)
-    part = (cap + F.col("e") - F.coalesce("found_d1", "e")).cast(UNITS)
-    return a.unionByName(b.select("id", part.alias("part"), F.when(part < cap, F.col("found_id")).alias("alias"))).withColumn("cap", cap)
-
-
 # ---- persisted form, draws and checks ----------------------------------------------------
 
 
 def numbered(table: DataFrame, n: int, blocks: int | None = None) -> DataFrame:
-    """Adds dense bucket numbers 0..n-1 in id order."""
+    """Adds dense bucket numbers 0..n-1 in id order, unless the build has given them."""
+    if "bucket" in table.columns:
+        return table
     return block_prefix_sum(table, "id", {"bucket": F.lit(1)}, blocks_for(n, blocks)).withColumn("bucket", (F.col("bucket") - 1).cast("long"))
 
 
@@ -337,9 +407,9 @@ def pick(u: Column, part: Column, cap: Column, own: Column, alias: Column, branc
 
 
 def draw_alias(numbered_table: DataFrame, k: int, n: int, seed: int = 7, branchless: bool = False) -> DataFrame:
-    """(draw, id): k independent draws; few requests are broadcast, many are shuffled."""
+    """(draw, id): k independent draws; requests of a bounded size are broadcast, others shuffled."""
     asked = draw_requests(numbered_table, k, n, seed)
-    joined = numbered_table.join(F.broadcast(asked) if k * 1000 < n or k <= 100_000 else asked, "bucket")
+    joined = numbered_table.join(F.broadcast(asked) if k <= BROADCAST_DRAWS else asked, "bucket")
     return joined.select("draw", pick(F.col("u"), F.col("part"), F.col("cap"), F.col("id"), F.col("alias"), branchless).alias("id"))
 
 

@@ -8,6 +8,7 @@ inside a block.
 
 from __future__ import annotations
 
+import math
 from decimal import Decimal
 from itertools import accumulate
 
@@ -15,10 +16,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..functions.stored import materialise
 from .items import UNITS
 
-#: Rows aimed at per block, sample rows per boundary, most blocks the driver scans.
-BLOCK_ROWS, SAMPLE, MAX_BLOCKS = 500_000, 32, 100_000
+#: Most rows aimed at per block, rows from which a block is worth a task, blocks up to which that counts.
+BLOCK_ROWS, LEAST_ROWS, SPREAD = 500_000, 20_000, 16
+#: Sample rows per boundary, most blocks the driver scans.
+SAMPLE, MAX_BLOCKS = 32, 100_000
 
 
 def boundaries(df: DataFrame, key: str, blocks: int) -> list:
@@ -35,12 +39,20 @@ def with_block(df: DataFrame, key: str, cuts: list, name: str = "_block") -> Dat
     if not cuts:
         return df.withColumn(name, F.lit(0))
     kind = df.schema[key].dataType
-    literal = F.array(*[F.lit(c).cast(kind) for c in cuts])
-    return df.withColumn(name, F.size(F.filter(literal, lambda c: c <= F.col(key))))
+    array = lambda xs: F.array(*[F.lit(c).cast(kind) for c in xs])
+    upto = lambda xs: F.size(F.filter(xs, lambda c: c <= F.col(key)))
+    if len(cuts) <= 32:
+        return df.withColumn(name, upto(array(cuts)))
+    # two levels, so a row meets about 2 sqrt(blocks) cut points and not all of them
+    width = math.isqrt(len(cuts))
+    parts = [cuts[i : i + width] for i in range(0, len(cuts), width)]
+    coarse = upto(array([p[0] for p in parts]))
+    fine = F.element_at(F.array(*[array(p) for p in parts]), F.greatest(coarse, F.lit(1)))
+    return df.withColumn(name, F.when(coarse == 0, 0).otherwise((coarse - 1) * width + upto(fine)))
 
 
 def blocks_for(n: int, blocks: int | None = None) -> int:
-    return min(MAX_BLOCKS, blocks or max(1, -(-n // BLOCK_ROWS)))
+    return min(MAX_BLOCKS, blocks or max(1, -(-n // BLOCK_ROWS), min(SPREAD, n // LEAST_ROWS)))
 
 
 def block_prefix_sum(df: DataFrame, key: str, values: dict[str, Column], blocks: int = 8, tie: str | None = None) -> DataFrame:
@@ -76,20 +88,22 @@ def next_at_or_after(probes: DataFrame, reference: DataFrame, probe_key: str, re
     the probe inside a range block, and for probes at the end of a block the first
     reference row of a later block, carried by the driver (one row a block).
     """
-    left = probes.select(F.col(probe_key).alias("_k"), F.lit(1 if strict else 0).alias("_side"), F.struct(*[F.col(c) for c in probes.columns]).alias("_p"), F.lit(None).cast(reference.select(F.struct(*payload)).schema[0].dataType).alias("_r"))
-    right = reference.select(F.col(ref_key).alias("_k"), F.lit(0 if strict else 1).alias("_side"), F.lit(None).cast(left.schema["_p"].dataType).alias("_p"), F.struct(*payload).alias("_r"))
-    cuts = boundaries(reference.select(F.col(ref_key).alias("_k")), "_k", blocks)
+    reference = materialise(reference.select(F.col(ref_key).alias("_k"), F.struct(*payload).alias("_r")))
+    kind = reference.schema["_r"].dataType
+    left = probes.select(F.col(probe_key).alias("_k"), F.lit(1 if strict else 0).alias("_side"), F.struct(*[F.col(c) for c in probes.columns]).alias("_p"), F.lit(None).cast(kind).alias("_r"))
+    right = reference.select("_k", F.lit(0 if strict else 1).alias("_side"), F.lit(None).cast(left.schema["_p"].dataType).alias("_p"), "_r")
+    cuts = boundaries(reference, "_k", blocks)
     both = with_block(left.unionByName(right), "_k", cuts)
     # backwards, because only a growing frame is evaluated in one pass
     after = Window.partitionBy("_block").orderBy(F.desc("_k"), F.desc("_side")).rowsBetween(Window.unboundedPreceding, -1)
     both = both.withColumn("_found", F.last("_r", ignorenulls=True).over(after))
-    heads = {r["_block"]: r["head"] for r in both.where("_r is not null").groupBy("_block").agg(F.min(F.struct("_k", "_r")).alias("head")).collect()}
+    first = with_block(reference, "_k", cuts).groupBy("_block").agg(F.min(F.struct("_k", "_r")).alias("head"))
+    heads = {r["_block"]: r["head"] for r in first.collect()}
     later, carried = None, {}
     for b in range(len(cuts), -1, -1):
         carried[b] = later
         if b in heads:
             later = heads[b]["_r"]
-    kind = left.schema["_r"].dataType
     rows = [(b, later) for b, later in carried.items() if later is not None]
     spark = probes.sparkSession
     table = F.broadcast(spark.createDataFrame(rows, f"_b int, _later {kind.simpleString()}"))

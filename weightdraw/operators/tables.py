@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..functions.stored import materialise
 from ..functions.variates import hash_uniform
 from .alias import alias_by_shard, draw_alias, pick, sweep_rows
 from .items import UNITS, weight_stats
@@ -33,7 +34,8 @@ def draw_rejection_flat(items: DataFrame, k: int, seed: int = 7, tries: int = TR
     while True:
         asked = attempts(items, k, tries, stats.n, seed, first, draws)
         hit = dense.join(F.broadcast(asked) if k <= 100_000 else asked, "bucket").where(F.col("u") * float(stats.most) <= F.col("units").cast("double"))
-        won = hit.groupBy("draw").agg(F.min(F.struct("attempt", "id")).alias("f")).select("draw", F.col("f.id").alias("id"), (F.col("f.attempt") + 1).alias("tries")).localCheckpoint()
+        won = hit.groupBy("draw").agg(F.min(F.struct("attempt", "id")).alias("f")).select("draw", F.col("f.id").alias("id"), (F.col("f.attempt") + 1).alias("tries"))
+        won = materialise(won)
         found = won if found is None else found.unionByName(won)
         if not stats.n or found.count() == k:
             return found
