@@ -32,7 +32,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, ship
+from .common import materialise, ship, unused
 
 WINDOW, MATCHED, SHORTEST = 8, 13, 4
 #: Item windows (16 bytes each and overhead) or chains that may be broadcast.
@@ -152,8 +152,9 @@ def verdicts(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
 def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The documents, all columns, without those that a benchmark item contaminates."""
-    found = materialise(contamination(docs, benchmark).select(F.col("doc_id").alias("_d")).distinct())
-    return docs.join(found, F.col("doc_id").eqNullSafe(F.col("_d")), "left_anti")
+    name = unused(docs, "_item")
+    found = materialise(contamination(docs, benchmark).select(F.col("doc_id").alias(name)).distinct())
+    return docs.join(found, docs["doc_id"].eqNullSafe(found[name]), "left_anti")
 
 
 ship(__name__)
