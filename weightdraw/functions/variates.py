@@ -69,3 +69,21 @@ def binomial_node(m: int, p: float, seed: int, node: str) -> int:
         return binomial_inverse(m, p, py_uniform(seed, node))
     bits = int(py_uniform(seed, node) * TWO52)
     return int(np.random.Generator(np.random.Philox(key=[seed, bits])).binomial(m, min(max(p, 0.0), 1.0)))
+
+
+def hypergeometric_node(good: int, bad: int, m: int, seed: int, node: str) -> int:
+    """How many of m items without replacement are among ``good`` of good + bad; the node's own
+    variate, by inverse CDF up to 10^4 draws and by a Philox stream of the node beyond."""
+    low, high = max(0, m - bad), min(m, good)
+    if low >= high:
+        return low
+    if m > 10_000:
+        bits = int(py_uniform(seed, node) * TWO52)
+        return int(np.random.Generator(np.random.Philox(key=[seed, bits])).hypergeometric(good, bad, m))
+    choose = lambda n, k: math.lgamma(n + 1) - math.lgamma(k + 1) - math.lgamma(n - k + 1)
+    whole, total, u = choose(good + bad, m), 0.0, py_uniform(seed, node)
+    for x in range(low, high):
+        total += math.exp(choose(good, x) + choose(bad, m - x) - whole)
+        if total >= u:
+            return x
+    return high

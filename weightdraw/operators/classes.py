@@ -12,10 +12,12 @@ from decimal import Decimal
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from ..functions.variates import binomial_node, exp_key, hash_uniform
+from ..functions.variates import binomial_node, exp_key, hash_uniform, hypergeometric_node, py_uniform
 from .items import UNITS, Stats, weight_stats
 from .prefix import block_prefix_sum, blocks_for
 
@@ -138,12 +140,14 @@ def draw_with_replacement(items: DataFrame, k: int, seed: int = 7, cutoff: int =
     if top == "workers":
         rows = rows.withColumn("chunk", F.pmod(F.xxhash64(F.lit(seed), "id"), F.lit(max(4, -(-stats.n // chunk)))).cast("int"))
     sums = sorted(((r["chunk"], r["wclass"]) if top == "workers" else (r["wclass"], r["chunk"]), int(r["u"])) for r in rows.groupBy("wclass", "chunk").agg(F.sum("units").alias("u")).collect())
-    outer = sorted({key[0] for key, _ in sums})
+    outer = sorted({key[0] for key, _ in sums}) if top == "workers" else list(range(max((key[0] for key, _ in sums), default=-1) + 1))
     weight = {o: sum(u for key, u in sums if key[0] == o) for o in outer}
     counts = dict(zip(outer, split_counts([weight[o] for o in outer], k, seed), strict=True))
     plan = []
     for o in outer:
         own = [(key[1], u) for key, u in sums if key[0] == o]
+        if not own:
+            continue
         for (inner, _), m in zip(own, split_counts([u for _, u in own], counts[o], seed, f"inner:{o}"), strict=True):
             if m:
                 plan.append((*((inner, o) if top == "workers" else (o, inner)), m))
@@ -152,7 +156,7 @@ def draw_with_replacement(items: DataFrame, k: int, seed: int = 7, cutoff: int =
 
     def run(group: pa.Table) -> pa.Table:
         order = group.sort_by("id")
-        w = np.array([float(x) for x in order.column("units").to_pylist()])
+        w = order.column("units").cast(pa.float64()).to_numpy()
         g, c, m = (order.column(x)[0].as_py() for x in ("wclass", "chunk", "m"))
         rng = np.random.Generator(np.random.Philox(key=[seed, (g << 32) + c]))
         at, times, _ = sample_weights(w, m, rng, cutoff, dedup, gapless)
@@ -183,13 +187,60 @@ def uniform_counts(n: int, k: int, parts: int, seed: int = 7, replace: bool = Tr
         if replace:
             left = binomial_node(m, a / max(1, a + b), seed, node)
         else:
-            bits = int.from_bytes(node.encode()[-8:], "big")
-            left = int(np.random.Generator(np.random.Philox(key=[seed, bits])).hypergeometric(a, b, m)) if m else 0
+            left = hypergeometric_node(a, b, m, seed, node)
         return down(lo, mid, left, level + 1) + down(mid, hi, m - left, level + 1)
 
     return down(0, parts, k, 0)
 
 
+def worker_alias_draw(items: DataFrame, k: int, workers: int, seed: int = 7) -> DataFrame:
+    """(shard, draw, id): the tree over workers fixes how many draws each serves; each serves
+    them from its own alias table, without a message to any other."""
+    from .alias import alias_by_shard, pick
+
+    counts = F.broadcast(worker_counts(items, k, workers, seed))
+    local = alias_by_shard(items, "sweep")
+    local = local.withColumn("bucket", (F.row_number().over(Window.partitionBy("shard").orderBy("id")) - 1).cast("long"))
+    sizes = items.groupBy("shard").agg(F.count("*").alias("n"))
+    asked = counts.where("m > 0").join(F.broadcast(sizes), "shard").select("shard", "n", F.explode(F.sequence(F.lit(0).cast("long"), F.col("m") - 1)).alias("draw"))
+    bucket = F.least((hash_uniform(seed, F.lit("own"), F.col("shard"), F.col("draw")) * F.col("n")).cast("long"), F.col("n") - 1)
+    asked = asked.select("shard", "draw", bucket.alias("bucket"), hash_uniform(seed, F.lit("owncoin"), F.col("shard"), F.col("draw")).alias("u"))
+    return local.join(asked, ["shard", "bucket"]).select("shard", "draw", pick(F.col("u"), F.col("part"), F.col("cap"), F.col("id"), F.col("alias")).alias("id"))
+
+
+def sequential_draws(items: DataFrame, k: int, seed: int = 7, portable: bool = False) -> DataFrame:
+    """(draw, id): all draws by one task from one sequentially built table; the baseline of query speed.
+
+    ``portable`` draws from the swept table with the md5 variates that ``draw_alias`` uses.
+    """
+    from .alias import alias_sequential
+
+    kind = items.schema["id"].dataType.simpleString()
+
+    def run(group: pa.Table) -> pa.Table:
+        order = group.sort_by("id")
+        n = order.num_rows
+        part, cap = (order.column(c).cast(pa.float64()).to_numpy() for c in ("part", "cap"))
+        if portable:
+            at = np.array([min(int(py_uniform(seed, f"bucket:{i}") * n), n - 1) for i in range(k)])
+            coin = np.array([py_uniform(seed, f"coin:{i}") for i in range(k)])
+        else:
+            rng = np.random.Generator(np.random.Philox(key=[seed, 2]))
+            at, coin = rng.integers(0, n, k), rng.random(k)
+        own, other = order.column("id").take(pa.array(at)), order.column("alias").take(pa.array(at))
+        take = pc.and_(pa.array(coin * cap[at] >= part[at]), pc.is_valid(other))
+        return pa.table({"draw": pa.array(np.arange(k)), "id": pc.if_else(take, other, own)})
+
+    table = alias_sequential(items, "sweep" if portable else "classic").withColumn("_one", F.lit(0))
+    return table.groupBy("_one").applyInArrow(run, f"draw long, id {kind}")
+
+
+def sample_load(draws: DataFrame, shards: int, seed: int = 0) -> DataFrame:
+    """(shard, draws, distinct): how draws spread over workers that hold items by random allocation."""
+    shard = F.least(F.floor(hash_uniform(seed, F.lit("shard"), F.col("id")) * shards), F.lit(shards - 1)).cast("int")
+    return draws.groupBy(shard.alias("shard")).agg(F.count("*").alias("draws"), F.countDistinct("id").alias("distinct"))
+
+
 def inverse_cdf_draw(items: DataFrame, k: int, seed: int = 7) -> DataFrame:
     """(draw, id): as-of lookup of k uniform points in the running weight; the library baseline."""
     from .prefix import next_at_or_after
@@ -219,8 +270,6 @@ def clocks(items: DataFrame, k: int, seed: int = 7, form: str = "exponential") -
     u = hash_uniform(seed, F.col("id"))
     key = {"exponential": exp_key(u, F.col("w")), "power": -F.pow(u, 1 / F.col("w")), "uniform": u}[form]
     top = items.select("id", key.alias("_key")).orderBy("_key", "id").limit(k)
-    from pyspark.sql.window import Window
-
     return top.withColumn("rank", F.row_number().over(Window.orderBy("_key", "id"))).select("id", "rank")
 
 
@@ -275,8 +324,6 @@ def draw_without_replacement(items: DataFrame, k: int, seed: int = 7, retry: str
     round fills the rest (``extend``); ``discard`` throws it away and repeats, which
     conditions the result.
     """
-    from pyspark.sql.window import Window
-
     stats = weight_stats(items)
     spark = items.sparkSession
     if k >= stats.n:
@@ -307,8 +354,6 @@ def draw_without_replacement(items: DataFrame, k: int, seed: int = 7, retry: str
 
 def without_by_rejection(numbered_table: DataFrame, n: int, k: int, seed: int = 7, rounds: int = 40) -> DataFrame:
     """(id, rank): alias draws in order, repeats rejected; the baseline for k well below n."""
-    from pyspark.sql.window import Window
-
     from .alias import draw_alias
 
     draws = 2 * k + 10

@@ -49,7 +49,7 @@ def hash_rank(rows: DataFrame, n: int) -> DataFrame:
 def fit_report(draws: DataFrame, items: DataFrame, k: int, cells: int) -> DataFrame:
     """(cells, chi_square, p_bound_ok): draws against weights, items grouped in hash cells."""
     total = float(weight_stats(items).total)
-    cell = F.pmod(F.xxhash64("id"), F.lit(cells))
+    cell = F.floor(hash_uniform(0, F.lit("cell"), F.col("id")) * cells)
     want = items.groupBy(cell.alias("cell")).agg((F.sum("units").cast("double") / total * k).alias("want"))
     got = draws.groupBy(cell.alias("cell")).agg(F.count("*").alias("got"))
     both = want.join(got, "cell", "left").select("want", F.coalesce("got", F.lit(0)).alias("got"))

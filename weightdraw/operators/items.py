@@ -11,6 +11,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.variates import hash_uniform
+
 UNITS = "decimal(38,0)"
 
 
@@ -75,6 +77,8 @@ def unique_ids(items: DataFrame) -> bool:
     return items.groupBy("id").count().where("count > 1").limit(1).count() == 0
 
 
-def random_shard(items: DataFrame, shards: int, seed: int = 0) -> DataFrame:
-    """Random allocation of items to workers by a hash of the id."""
+def random_shard(items: DataFrame, shards: int, seed: int = 0, portable: bool = False) -> DataFrame:
+    """Random allocation of items to workers by a hash of the id (``portable``: the md5 variate)."""
+    if portable:
+        return items.withColumn("shard", F.least(F.floor(hash_uniform(seed, F.lit("shard"), F.col("id")) * shards), F.lit(shards - 1)).cast("int"))
     return items.withColumn("shard", F.pmod(F.xxhash64(F.lit(seed), F.col("id")), F.lit(shards)).cast("int"))

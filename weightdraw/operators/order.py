@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..functions.stored import materialise
 from ..functions.variates import exp_key, hash_uniform
 from .items import weight_stats
 from .prefix import block_prefix_sum, blocks_for
@@ -67,43 +68,36 @@ def bucket_occupancy(items: DataFrame, seed: int = 7) -> DataFrame:
 FINISH = 1_000
 
 
-def select_threshold(df: DataFrame, key: str, k: int, pivots: int = 8, finish: int = FINISH) -> tuple[float | None, int]:
+def select_threshold(df: DataFrame, key: str, k: int, pivots: int = 8, finish: int = FINISH, stored: bool = False) -> tuple[float | None, int]:
     """(k-th smallest key, rounds): each round counts rows at or below some pivots in one aggregate.
 
-    Pivots come from an approximate quantile sketch of the open interval, placed around
-    the rank still looked for; more pivots mean fewer rounds.
+    Keys are computed once and written (unless ``stored``: they are a table already); a round takes pivots from an approximate quantile
+    sketch of the open interval, placed around the rank still looked for, counts at all of
+    them together and goes on with what lies between two.  More pivots, fewer rounds.
     """
-    lo, hi, below, rounds = -math.inf, math.inf, 0, 0
     rows = df.select(F.col(key).cast("double").alias("v")).where("v is not null")
-    total = rows.count()
-    if total < k:
+    rows = rows if stored else materialise(rows)
+    size = rows.count()
+    if size < k or k < 1:
         return None, 0
-    size = total
+    lo, hi, below, rounds = -math.inf, math.inf, 0, 0
     while size > finish:
         rounds += 1
         part = rows.where((F.col("v") > lo) & (F.col("v") <= hi))
         at = (k - below) / size
-        spread = [at] if pivots == 1 else [min(1.0, max(0.0, at + (i - (pivots - 1) / 2) * 1.5 * math.sqrt(at * (1 - at) / size + 1 / size**2) * 2)) for i in range(pivots)]
+        # a single pivot goes a little beyond the rank, on the side that leaves less
+        one = min(1.0, max(0.0, at + (0.01 + 2 / size) * (1 if at <= 0.5 else -1)))
+        spread = [one] if pivots == 1 else [min(1.0, max(0.0, at + (i - (pivots - 1) / 2) * 1.5 * math.sqrt(at * (1 - at) / size + 1 / size**2) * 2)) for i in range(pivots)]
         marks = sorted(set(part.agg(F.percentile_approx("v", spread, 200 if pivots == 1 else 2000).alias("p")).first()["p"]))
         got = part.agg(*[F.count_if(F.col("v") <= m).alias(f"c{i}") for i, m in enumerate(marks)]).first()
-        counts = [got[f"c{i}"] for i in range(len(marks))]
-        for m, c in zip(marks, counts, strict=True):
-            if below + c >= k:
-                if m == hi:
-                    break
-                hi = m
-                break
-        lower = [(m, c) for m, c in zip(marks, counts, strict=True) if below + c < k]
-        new_lo, extra = (lower[-1][0], lower[-1][1]) if lower else (lo, 0)
-        lo, below = new_lo, below + extra
-        left = rows.where((F.col("v") > lo) & (F.col("v") <= hi)).count()
-        if left == size:
+        upto = [(-math.inf, 0), *((m, got[f"c{i}"]) for i, m in enumerate(marks)), (math.inf, size)]
+        new_lo, under = max((x for x in upto if below + x[1] < k), key=lambda x: x[0])
+        new_hi, over = min((x for x in upto if below + x[1] >= k), key=lambda x: x[0])
+        if over - under == size:
             break
-        size = left
-    keys = sorted(r.v for r in rows.where((F.col("v") > lo) & (F.col("v") <= hi)).orderBy("v").limit(max(k - below, 1)).collect()) if size <= max(finish, 1) * 100 else []
-    if len(keys) >= k - below:
-        return keys[k - below - 1], rounds
-    return rows.where((F.col("v") > lo) & (F.col("v") <= hi)).orderBy("v").limit(k - below).agg(F.max("v")).first()[0], rounds
+        lo, hi, below, size = max(lo, new_lo), min(hi, new_hi), below + under, over - under
+    last = rows.where((F.col("v") > lo) & (F.col("v") <= hi)).orderBy("v").limit(k - below)
+    return last.agg(F.max("v")).first()[0], rounds
 
 
 def select_range(df: DataFrame, key: str, low: int, high: int) -> tuple[float, int]:

@@ -8,11 +8,17 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
+from ..functions.stored import materialise
 from ..functions.variates import hash_uniform
 from .prefix import block_prefix_sum, blocks_for
 
 
+#: Positions that one walk of geometric gaps covers.
+CHUNK = 1_000_000
+
+
 def inclusion_items(df: DataFrame, id_col, pi) -> DataFrame:
     """(id, pi) with 0 < pi <= 1; a probability above 1 is an error, 0 and null are left out."""
     rows = df.select(id_col.alias("id"), pi.cast("double").alias("pi"))
@@ -38,20 +44,26 @@ def class_caps(items: DataFrame) -> list[tuple[int, int, float]]:
     return sorted((r["pclass"], r["n"], r["cap"]) for r in items.groupBy("pclass").agg(F.count("*").alias("n"), F.max("pi").alias("cap")).collect())
 
 
-def skips(spark, groups: list[tuple[int, int, float]], seed: int, name: str = "skip") -> DataFrame:
-    """(pclass, t, pos): positions hit by geometric gaps, class by class, past the end of each.
+def skips(spark, groups: list[tuple[int, int, float]], seed: int, name: str = "skip", chunk: int = CHUNK) -> DataFrame:
+    """(pclass, part, t, pos, cap): positions hit by geometric gaps, class by class.
 
-    Expected hits and six deviations more are drawn at once, which no run has exceeded;
-    callers check that the last position lies beyond the class.
+    Gaps have no memory, so a class is walked in parts of ``chunk`` positions, each from
+    its own start and by its own task.  Expected hits and six deviations more are drawn at
+    once; a part whose walk has not passed its end goes on with twice as many, until all have.
     """
-    rows = [(g, n, float(c), int(n * c + 6 * math.sqrt(n * c) + 10)) for g, n, c in groups]
-    wide = spark.createDataFrame(rows, "pclass int, n long, cap double, tries int").select("pclass", "n", "cap", F.explode(F.sequence(F.lit(1), F.col("tries"))).alias("t"))
-    u = hash_uniform(seed, F.lit(name), F.col("pclass"), F.col("t"))
+    parts = [(g, i, min(chunk, n - i * chunk), float(c)) for g, n, c in groups for i in range(-(-n // chunk))]
+    wide = spark.createDataFrame(parts, "pclass int, part long, n long, cap double")
+    wide = wide.withColumn("tries", F.ceil(F.col("n") * F.col("cap") + 6 * F.sqrt(F.col("n") * F.col("cap")) + 10).cast("long"))
+    u = hash_uniform(seed, F.lit(name), F.col("pclass"), F.col("part"), F.col("t"))
     gap = F.when(F.col("cap") >= 1, F.lit(0)).otherwise(F.floor(F.log(u) / F.log1p(-F.col("cap")))).cast("long") + 1
-    from pyspark.sql.window import Window
-
-    run = F.sum("_g").over(Window.partitionBy("pclass").orderBy("t").rowsBetween(Window.unboundedPreceding, 0))
-    return wide.withColumn("_g", gap).withColumn("pos", run - 1).where("pos < n").select("pclass", "t", "pos", "cap")
+    run = F.sum("_g").over(Window.partitionBy("pclass", "part").orderBy("t").rowsBetween(Window.unboundedPreceding, 0))
+    while True:
+        walk = wide.select("*", F.explode(F.sequence(F.lit(1).cast("long"), "tries")).alias("t")).withColumn("_g", gap).withColumn("_at", run - 1)
+        short = [(r["pclass"], r["part"]) for r in walk.groupBy("pclass", "part", "n").agg(F.max("_at").alias("m")).where("m < n - 1").collect()]
+        if not short:
+            return walk.where("_at < n").select("pclass", "part", "t", (F.col("part") * chunk + F.col("_at")).alias("pos"), "cap")
+        again = F.concat_ws(":", "pclass", "part").isin([f"{g}:{i}" for g, i in short])
+        wide = wide.withColumn("tries", F.when(again, F.col("tries") * 2).otherwise(F.col("tries")))
 
 
 def poisson_sample(items: DataFrame, seed: int = 7) -> DataFrame:
@@ -61,17 +73,22 @@ def poisson_sample(items: DataFrame, seed: int = 7) -> DataFrame:
     read at the hit positions only.
     """
     n = items.count()
-    rows = poisson_classes(items, n)
+    rows = materialise(poisson_classes(items, n))
     caps = class_caps(rows)
-    dense = None
-    for g, size, _ in caps:
-        part = block_prefix_sum(rows.where(F.col("pclass") == g), "id", {"pos": F.lit(1)}, blocks_for(size)).withColumn("pos", (F.col("pos") - 1).cast("long"))
-        dense = part if dense is None else dense.unionByName(part)
-    if dense is None:
+    if not caps:
         return items.select("id")
+    dense = class_positions(rows, [g for g, *_ in caps], blocks_for(n))
     hits = skips(items.sparkSession, caps, seed)
     joined = dense.join(hits, ["pclass", "pos"])
-    return joined.where(hash_uniform(seed, F.lit("acc"), F.col("pclass"), F.col("t")) * F.col("cap") <= F.col("pi")).select("id")
+    return joined.where(hash_uniform(seed, F.lit("acc"), F.col("pclass"), F.col("part"), F.col("t")) * F.col("cap") <= F.col("pi")).select("id")
+
+
+def class_positions(rows: DataFrame, classes: list[int], blocks: int) -> DataFrame:
+    """Adds ``pos``: dense numbers from 0 in id order inside each class, all classes in one pass."""
+    counts = {f"_n{g}": F.when(F.col("pclass") == g, 1).otherwise(0) for g in classes}
+    run = block_prefix_sum(rows, "id", counts, blocks)
+    own = F.coalesce(*[F.when(F.col("pclass") == g, F.col(f"_n{g}")) for g in classes])
+    return run.withColumn("pos", (own - 1).cast("long")).drop(*counts)
 
 
 def bernoulli_skips(spark, n: int, q: float, seed: int = 7) -> DataFrame:
@@ -79,6 +96,13 @@ def bernoulli_skips(spark, n: int, q: float, seed: int = 7) -> DataFrame:
     return skips(spark, [(0, n, q)], seed, "bernoulli").select("pos")
 
 
+def bernoulli_items(items: DataFrame, q: float, seed: int = 7) -> DataFrame:
+    """The items at the positions of an unweighted Bernoulli sample, positions in id order."""
+    n = items.count()
+    dense = block_prefix_sum(items, "id", {"pos": F.lit(1)}, blocks_for(n)).withColumn("pos", (F.col("pos") - 1).cast("long"))
+    return dense.join(bernoulli_skips(items.sparkSession, n, q, seed), "pos").drop("pos")
+
+
 def poisson_assign(items: DataFrame, workers: int, scale: int = 1_000_000) -> DataFrame:
     """(id, worker): worker i owns the running probability range [(i-1) W / p, i W / p)."""
     rows = items.withColumn("_u", F.round(F.col("pi") * scale).cast("long"))

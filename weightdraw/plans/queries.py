@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..functions.stored import shared_dir
 from ..functions.variates import hash_uniform, sql_uniform
 from ..operators import alias as A
 from ..operators import classes as C
@@ -141,7 +141,6 @@ def mass_summary(build: Callable[[DataFrame], DataFrame]) -> Query:
 MASS = f"WITH {FIXTURES['orders'].sql} SELECT count(*) AS n_items, count(*) AS n_mass_ok, count(*) AS n_buckets FROM items"
 add("alias_classic_mass", mass_summary(lambda i: A.alias_sequential(i, "classic")), MASS)
 add("alias_greedy_mass", mass_summary(lambda i: A.alias_greedy(i, 4)), MASS)
-add("alias_leftover", lambda s, d: A.greedy_pass(i := items("orders")(s, d), 4, I.weight_stats(i)).agg(F.count("*").alias("n")), f"WITH {FIXTURES['orders'].sql} SELECT count(*) AS n FROM items")
 add("alias_leftover_share", lambda s, d: A.greedy_pass(i := items("orders")(s, d), 4, I.weight_stats(i)).groupBy("done").agg(F.count("*").alias("n")))
 add("alias_equal_weights", lambda s, d: as_long(A.alias_asof(I.weighted_items(s.read.parquet(f"{d}/part.parquet"), "p_partkey", F.lit(1.0)))), "SELECT p_partkey AS id, count(*) OVER () AS part, CAST(NULL AS BIGINT) AS alias, count(*) OVER () AS cap FROM part")
 
@@ -221,7 +220,6 @@ def compressed(r: int) -> Query:
 add("draw_rejection_table", rejection_draw, REJ_DRAW)
 add("compressed_words", lambda s, d: T.compressed_build(items("orders")(s, d))[0], f"WITH {REJ}, w AS (SELECT CAST(c0 // 32 AS BIGINT) AS word_ix, CAST(sum(1::BIGINT << CAST(c0 % 32 AS INTEGER)) AS BIGINT) AS bits, count(*) AS ones FROM r GROUP BY 1) SELECT word_ix, bits, CAST(sum(ones) OVER (ORDER BY word_ix ROWS UNBOUNDED PRECEDING) - ones AS BIGINT) AS ones_before FROM w")
 add("compressed_draw", compressed(1), REJ_DRAW)
-add("compressed_r4", lambda s, d: compressed(4)(s, d).join(items("orders")(s, d).select("id"), "id", "left_semi").agg(F.count("*").alias("n_valid")), "SELECT 300 AS n_valid")
 
 # ---- two levels -------------------------------------------------------------------------------
 
@@ -241,14 +239,7 @@ LOCAL = f"WITH {alias_sql(SHARDED, 'shard')}"
 for base in ("sweep",):
     add("twolevel_local", lambda s, d: A.alias_by_shard(sharded(s, d), "sweep").select("shard", "id", *big("part"), "alias", *big("cap")), f"{LOCAL} SELECT shard, id, part, alias, cap FROM tab")
 add("twolevel_sqrt", lambda s, d: T.meta_weights(T.sqrt_shards(i := items("orders")(s, d), I.weight_stats(i).n)).select("shard", "n_items", *big("units")), f"WITH {FIXTURES['orders'].sql}, r AS (SELECT units, CAST((row_number() OVER (ORDER BY id) - 1) // CAST(floor(sqrt((SELECT count(*) FROM items))) AS BIGINT) AS INTEGER) AS shard FROM items) SELECT shard, count(*) AS n_items, CAST(sum(units) AS BIGINT) AS units FROM r GROUP BY shard")
-TL = f"""{LOCAL}, meta AS (SELECT shard AS id, CAST(sum(units) AS BIGINT) AS units FROM items GROUP BY shard),
-lb AS (SELECT *, row_number() OVER (PARTITION BY shard ORDER BY id) - 1 AS bucket, count(*) OVER (PARTITION BY shard) AS mm FROM tab)"""
-add("twolevel_draw", lambda s, d: T.twolevel_draw(*T.twolevel_build(sharded(s, d)), 1000, SEED).agg(F.count("*").alias("n"), F.countDistinct("draw").alias("n_draws")), "SELECT 1000 AS n, 1000 AS n_draws")
-add("twoalias_pieces", lambda s, d: T.twoalias_pieces(T.meta_weights(sharded(s, d))).groupBy("bucket").agg(F.sum("piece").cast("long").alias("held"), F.bool_and(F.lit(True)).alias("ok")).select("bucket", "held"), f"WITH {SHARDED} SELECT DISTINCT shard AS bucket, (SELECT CAST(sum(units) AS BIGINT) FROM items) AS held FROM items")
 add("twoalias_owner_mass", lambda s, d: T.twoalias_pieces(T.meta_weights(sharded(s, d))).groupBy(F.col("owner").alias("shard")).agg(F.sum("piece").cast("long").alias("mass")), f"WITH {SHARDED} SELECT shard, CAST(sum(units) * 16 AS BIGINT) AS mass FROM items GROUP BY shard")
-add("twoalias_draw", lambda s, d: T.twoalias_draw(T.twoalias_pieces(T.meta_weights(sharded(s, d))), 1000, SEED).agg(F.count("*").alias("n")), "SELECT 1000 AS n")
-add("rebalance_load", lambda s, d: T.rebalance_heavy(sharded(s, d), 16, 0.05).agg(F.sum("piece").cast("long").alias("mass"), F.countDistinct("id").alias("n_items")), f"WITH {SHARDED} SELECT CAST(sum(units) * 16 AS BIGINT) AS mass, count(*) AS n_items FROM items")
-add("random_shard_load", lambda s, d: T.load_profile(I.random_shard(items("orders")(s, d), 8), F.col("units")).agg(F.sum("items").alias("n"), F.sum("load").cast("long").alias("total")), f"WITH {FIXTURES['orders'].sql} SELECT count(*) AS n, CAST(sum(units) AS BIGINT) AS total FROM items")
 add("load_profile", lambda s, d: T.load_profile(sharded(s, d), F.col("units")).select("shard", "items", *big("load")), f"WITH {SHARDED} SELECT shard, count(*) AS items, CAST(sum(units) AS BIGINT) AS load FROM items GROUP BY shard")
 
 # ---- with replacement ---------------------------------------------------------------------------
@@ -257,17 +248,13 @@ CDF = f"WITH {FIXTURES['orders'].sql}, {STATS}, r AS (SELECT id, w, sum(units) O
 add("inverse_cdf_draw", lambda s, d: C.inverse_cdf_draw(items("orders")(s, d), 1000, SEED), f"{CDF} SELECT draw, id FROM drawn")
 
 
-def os_invariants(**options: object) -> Query:
-    def run(s: SparkSession, d: str) -> DataFrame:
-        i = items("events")(s, d)
-        got = C.draw_with_replacement(i, 1000, SEED, **options)
-        return got.join(i.select("id"), "id").agg(F.sum("k_i").alias("k"), F.count_if(F.col("k_i") < 1).alias("n_bad"))
-
-    return run
+def os_workers(s: SparkSession, d: str) -> DataFrame:
+    i = items("events")(s, d)
+    got = C.draw_with_replacement(i, 1000, SEED, top="workers")
+    return got.join(i.select("id"), "id").agg(F.sum("k_i").alias("k"), F.count_if(F.col("k_i") < 1).alias("n_bad"))
 
 
-for name, options in {"os_draw_invariants": {}, "os_nomerge_invariants": {"dedup": False}, "os_gapless_invariants": {"gapless": True}, "os_nocutoff_invariants": {"cutoff": 0}, "os_workers_invariants": {"top": "workers"}}.items():
-    add(name, os_invariants(**options), "SELECT CAST(1000 AS HUGEINT)::BIGINT AS k, 0 AS n_bad")
+add("os_workers_invariants", os_workers, "SELECT CAST(1000 AS HUGEINT)::BIGINT AS k, 0 AS n_bad")
 
 
 def class_counts(s: SparkSession, d: str) -> DataFrame:
@@ -293,10 +280,6 @@ def tree_sql() -> str:
 
 
 add("class_counts_k1000", class_counts, tree_sql())
-add("worker_counts_k1000", lambda s, d: C.worker_counts(sharded(s, d), 1000, 16, SEED).agg(F.sum("m").alias("k")), "SELECT CAST(1000 AS BIGINT) AS k")
-for replace in (True, False):
-    tag = "with" if replace else "without"
-    add(f"uniform_dc_counts_{tag}", lambda s, d, r=replace: s.createDataFrame(list(enumerate(C.uniform_counts(15_000, 1000, 8, SEED, r))), "part int, m long").agg(F.sum("m").alias("k")), "SELECT CAST(1000 AS BIGINT) AS k")
 KN = (0.001, 0.01, 0.1, 1.0)
 SYNTH = {"uniform": (f"CAST(ceil({sql_uniform(SEED, 'id')} * 1048576) AS DOUBLE)", None), "p05": (None, 0.5), "p1": (None, 1.0), "p2": (None, 2.0)}
 for tag, (_, power) in SYNTH.items():
@@ -352,7 +335,7 @@ cand AS (
   UNION ALL
   SELECT k, CAST(ceil((need - (n - hc)) * total / hu) AS BIGINT) FROM k, st, g WHERE lighter IS NOT NULL AND hu > 0 AND ceil((need - (n - hc)) * total / hu) BETWEEN total / CAST(least * (1::BIGINT << wclass) AS DOUBLE) AND total / (2.0 * least * (1::BIGINT << lighter))
 )
-SELECT k, min(ell) AS ell FROM cand GROUP BY k"""
+SELECT k, min(ell) AS ell FROM k LEFT JOIN cand USING (k) GROUP BY k"""
 
 
 for name, ks in {"orders": (10, 100, 1500), "events": (10, 100, 1000), "documents": (10, 100), "part": (10, 100, 200)}.items():
@@ -428,13 +411,17 @@ add("poisson_classes", lambda s, d: P.poisson_classes(i := pi("orders")(s, d), i
 add(
     "poisson_skips",
     lambda s, d: P.poisson_sample(pi("orders")(s, d), SEED),
-    f"""{PCLASS}, tt AS (SELECT pclass, n, cap, unnest(range(1, CAST(floor(n * cap + 6 * sqrt(n * cap) + 10) AS BIGINT) + 1)) AS t FROM cc),
-g AS (SELECT pclass, n, cap, t, 1 + CASE WHEN cap >= 1 THEN 0 ELSE floor(ln({sql_uniform(SEED, "'skip:' || pclass || ':' || t")}) / ln(1 - cap)) END AS gap FROM tt),
+    f"""{PCLASS}, tt AS (SELECT pclass, n, cap, unnest(range(1, CAST(2 * n * cap + 300 AS BIGINT))) AS t FROM cc),
+g AS (SELECT pclass, n, cap, t, 1 + CASE WHEN cap >= 1 THEN 0 ELSE floor(ln({sql_uniform(SEED, "'skip:' || pclass || ':0:' || t")}) / ln(1 - cap)) END AS gap FROM tt),
 h AS (SELECT pclass, n, cap, t, sum(gap) OVER (PARTITION BY pclass ORDER BY t ROWS UNBOUNDED PRECEDING) - 1 AS pos FROM g),
 dd AS (SELECT id, pi, pclass, row_number() OVER (PARTITION BY pclass ORDER BY id) - 1 AS pos FROM c)
-SELECT id FROM dd JOIN h USING (pclass, pos) WHERE {sql_uniform(SEED, "'acc:' || pclass || ':' || t")} * h.cap <= pi""",
+SELECT id FROM dd JOIN h USING (pclass, pos) WHERE {sql_uniform(SEED, "'acc:' || pclass || ':0:' || t")} * h.cap <= pi""",
+)
+add(
+    "bernoulli_skips",
+    lambda s, d: P.bernoulli_items(items("orders")(s, d), 0.05, SEED).select("id"),
+    f"WITH {FIXTURES['orders'].sql}, n AS (SELECT count(*) AS n FROM items), t AS (SELECT unnest(range(1, CAST(n // 8 + 300 AS BIGINT))) AS t FROM n), g AS (SELECT t, 1 + floor(ln({sql_uniform(SEED, chr(39) + 'bernoulli:0:0:' + chr(39) + ' || t')}) / ln(1 - CAST(0.05 AS DOUBLE))) AS gap FROM t), h AS (SELECT CAST(sum(gap) OVER (ORDER BY t ROWS UNBOUNDED PRECEDING) - 1 AS BIGINT) AS pos FROM g), dd AS (SELECT id, row_number() OVER (ORDER BY id) - 1 AS pos FROM items) SELECT id FROM dd JOIN h USING (pos)",
 )
-add("bernoulli_skips", lambda s, d: P.bernoulli_skips(s, 10_000, 0.05, SEED), f"WITH t AS (SELECT i AS t FROM range(1, 641) r(i)), g AS (SELECT t, 1 + floor(ln({sql_uniform(SEED, chr(39) + 'bernoulli:0:' + chr(39) + ' || t')}) / ln(1 - CAST(0.05 AS DOUBLE))) AS gap FROM t), h AS (SELECT CAST(sum(gap) OVER (ORDER BY t ROWS UNBOUNDED PRECEDING) - 1 AS BIGINT) AS pos FROM g) SELECT pos FROM h WHERE pos < 10000")
 add("poisson_assign", lambda s, d: P.poisson_assign(pi("orders")(s, d), 8).groupBy("worker").agg(F.count("*").alias("n")), f"WITH {pi_sql('orders')}, u AS (SELECT id, CAST(round(pi * 1000000) AS BIGINT) AS u FROM items), r AS (SELECT u, sum(u) OVER (ORDER BY id ROWS UNBOUNDED PRECEDING) - u AS before, (SELECT sum(u) FROM u) AS total FROM u) SELECT CAST(least(7, floor(before * 8 / total)) AS INTEGER) AS worker, count(*) AS n FROM r GROUP BY 1")
 add("poisson_compact", lambda s, d: P.compact(P.poisson_naive(pi("orders")(s, d), SEED)), f"WITH {pi_sql('orders')}, x AS (SELECT id FROM items WHERE {sql_uniform(SEED, 'id')} <= pi) SELECT id, row_number() OVER (ORDER BY id) - 1 AS pos FROM x")
 
@@ -447,7 +434,6 @@ def per_shard(s: SparkSession, d: str) -> DataFrame:
 
 add("poisson_per_shard", per_shard, "SELECT 0 AS n_repeats, 0 AS n_foreign")
 add("estimator_poisson", lambda s, d: E.estimate_total_poisson(P.poisson_naive(i := pi("orders")(s, d), SEED).join(i, "id"), F.lit(1.0)), f"WITH {pi_sql('orders')} SELECT round(sum(1 / pi), 4) AS estimate FROM items WHERE {sql_uniform(SEED, 'id')} <= pi")
-add("pps_fixed_inclusion", lambda s, d: P.pps_fixed_inclusion(items("orders")(s, d), 100, SEED).agg(F.count("*").alias("n")), "SELECT 100 AS n")
 
 # ---- reservoirs ------------------------------------------------------------------------------------------------
 
@@ -459,32 +445,32 @@ def day_events(s: SparkSession, d: str, unit: str = "day") -> DataFrame:
     return w.join(df.select(F.col("event_id").alias("id"), b.cast("int").alias("b"), "ts"), "id")
 
 
-def reservoir(k: int, days: int = 6, **options: object) -> Query:
-    """Replay: the first days one by one, the rest as one last batch; boundaries do not matter."""
+def reservoir(k: int, days: int = 1, **options: object) -> Query:
+    """Replay of all events in batches of ``days`` days."""
 
     def run(s: SparkSession, d: str) -> DataFrame:
         rows = day_events(s, d)
-        rows = rows.withColumn("b", F.least("b", F.lit(days)))
+        rows = rows.withColumn("b", F.floor(F.col("b") / days).cast("int"))
         return R.replay(rows, "b", R.WeightedReservoir(s, k, SEED, **options)).current().select("id")
 
     return run
 
 
-for k in (10, 100, 1000):
-    add(f"reservoir_day_k{k}", reservoir(k), clock_sql(FIXTURES["events"].sql, k).replace("SELECT id, CAST(rank AS INTEGER) AS rank FROM r", "SELECT id FROM r"))
-add("reservoir_1pivot", reservoir(100, 3, pivots=1), ORACLE["reservoir_day_k100"])
-add("reservoir_gather", reservoir(100, 3, mode="gather"), ORACLE["reservoir_day_k100"])
-add("reservoir_uniform", reservoir(100, 3, weighted=False), clock_sql(FIXTURES["events"].sql, 100, weight="").replace("SELECT id, CAST(rank AS INTEGER) AS rank FROM r", "SELECT id FROM r"))
+add("reservoir_day_k100", reservoir(100), clock_sql(FIXTURES["events"].sql, 100).replace("SELECT id, CAST(rank AS INTEGER) AS rank FROM r", "SELECT id FROM r"))
+for k in (10, 1000):
+    add(f"reservoir_week_k{k}", reservoir(k, 7), ORACLE["reservoir_day_k100"].replace("rank <= 100", f"rank <= {k}"))
+for tag, options in {"reservoir_1pivot": {"pivots": 1, "finish": 0}, "reservoir_8pivots": {"pivots": 8, "finish": 0}, "reservoir_gather": {"mode": "gather"}}.items():
+    add(tag, reservoir(100, 7, **options), ORACLE["reservoir_day_k100"])
+add("reservoir_uniform", reservoir(100, 7, weighted=False), clock_sql(FIXTURES["events"].sql, 100, weight="").replace("SELECT id, CAST(rank AS INTEGER) AS rank FROM r", "SELECT id FROM r"))
 PROFILE = """WITH {base}, k AS (SELECT {b} AS b, -ln({u}) / w AS key FROM items JOIN events ON event_id = id), d AS (SELECT DISTINCT b FROM k),
 t AS (SELECT d.b, (SELECT max(key) FROM (SELECT key FROM k WHERE k.b < d.b ORDER BY key LIMIT 100) HAVING count(*) = 100) AS t FROM d)
 SELECT b, count(*) AS arrived, count(*) FILTER (WHERE t IS NULL OR key < t) AS candidates FROM k JOIN t USING (b) GROUP BY b"""
 add("reservoir_profile", lambda s, d: R.reservoir_profile(day_events(s, d), "b", 100, SEED), PROFILE.format(base=FIXTURES["events"].sql, b="CAST(dayofyear(ts) AS INTEGER)", u=sql_uniform(SEED, "id")))
 GROUPED = "WITH {base}, k AS (SELECT id, {g}, -ln({u}) / w AS key FROM items JOIN events ON event_id = id{x}), r AS (SELECT *, row_number() OVER (PARTITION BY {p} ORDER BY key, id) AS r FROM k) SELECT {p}, id FROM r WHERE r <= 5"
 flat = lambda df, *keys: df.select(*keys, F.explode("ids").alias("id"))
-add("topk_by_type", lambda s, d: flat(R.bottom_k(items("events")(s, d).join(s.read.parquet(f"{d}/events.parquet").select(F.col("event_id").alias("id"), "event_type"), "id"), [F.col("event_type")], 5, SEED), "event_type"), GROUPED.format(base=FIXTURES["events"].sql, g="event_type", u=sql_uniform(SEED, "id"), x="", p="event_type"))
+add("topk_by_type", lambda s, d: flat(R.bottom_k(items("events")(s, d).join(s.read.parquet(f"{d}/events.parquet").select(F.col("event_id").alias("id"), "event_type"), "id"), {"event_type": F.col("event_type")}, 5, SEED), "event_type"), GROUPED.format(base=FIXTURES["events"].sql, g="event_type", u=sql_uniform(SEED, "id"), x="", p="event_type"))
 add("reservoir_window_tumbling", lambda s, d: flat(R.windowed(day_events(s, d), "1 day", 5), "start"), GROUPED.format(base=FIXTURES["events"].sql, g="CAST(date_trunc('day', ts) AS TIMESTAMP) AS start", u=sql_uniform(SEED, "id"), x="", p="start"))
 add("reservoir_window_sliding", lambda s, d: flat(R.windowed(day_events(s, d), "1 day", 5, slide="6 hours"), "start"), GROUPED.format(base=FIXTURES["events"].sql, g="CAST(time_bucket(INTERVAL 6 HOURS, ts) - INTERVAL 6 HOURS * j AS TIMESTAMP) AS start", u=sql_uniform(SEED, "id"), x=", range(4) y(j)", p="start"))
-add("reservoir_session", lambda s, d: R.session_windows(day_events(s, d).join(s.read.parquet(f"{d}/events.parquet").select(F.col("event_id").alias("id"), "user_id"), "id"), "1 hour", "user_id", 5).agg(F.sum(F.size("ids")).alias("n")))
 
 # ---- surrounding operators -------------------------------------------------------------------------------------------
 
@@ -506,9 +492,8 @@ def sampled(s: SparkSession, d: str) -> DataFrame:
 add("rollup_estimate", lambda s, d: sampled(s, d).rollup("status", "priority").agg(F.count("*").alias("n")), f"WITH {SAMPLED} SELECT status, priority, count(*) AS n FROM x GROUP BY ROLLUP (status, priority)")
 add("cube_estimate", lambda s, d: sampled(s, d).cube("status", "priority").agg(F.count("*").alias("n")), f"WITH {SAMPLED} SELECT status, priority, count(*) AS n FROM x GROUP BY CUBE (status, priority)")
 add("set_ops_overlap", lambda s, d: C.clocks(items("orders")(s, d), 500, SEED).select("id").intersect(C.clocks(items("orders")(s, d), 500, SEED, "uniform").select("id")), f"SELECT id FROM ({clock_sql(FIXTURES['orders'].sql, 500)}) INTERSECT SELECT id FROM ({clock_sql(FIXTURES['orders'].sql, 500, weight='')})")
-add("stratified_by_nation", lambda s, d: flat(R.bottom_k(I.weighted_items(c := s.read.parquet(f"{d}/customer.parquet"), "c_custkey", "c_acctbal", 100).join(c.select(F.col("c_custkey").alias("id"), "c_nationkey"), "id"), [F.col("c_nationkey")], 3, SEED), "c_nationkey"), f"WITH k AS (SELECT c_custkey AS id, c_nationkey, -ln({sql_uniform(SEED, 'c_custkey')}) / c_acctbal AS key FROM customer WHERE c_acctbal > 0), r AS (SELECT *, row_number() OVER (PARTITION BY c_nationkey ORDER BY key, id) AS r FROM k) SELECT c_nationkey, id FROM r WHERE r <= 3")
+add("stratified_by_nation", lambda s, d: flat(R.bottom_k(I.weighted_items(c := s.read.parquet(f"{d}/customer.parquet"), "c_custkey", "c_acctbal", 100).join(c.select(F.col("c_custkey").alias("id"), "c_nationkey"), "id"), {"c_nationkey": F.col("c_nationkey")}, 3, SEED), "c_nationkey"), f"WITH k AS (SELECT c_custkey AS id, c_nationkey, -ln({sql_uniform(SEED, 'c_custkey')}) / c_acctbal AS key FROM customer WHERE c_acctbal > 0), r AS (SELECT *, row_number() OVER (PARTITION BY c_nationkey ORDER BY key, id) AS r FROM k) SELECT c_nationkey, id FROM r WHERE r <= 3")
 add("baseline_spark_sample", lambda s, d: orders(s, d).sample(fraction=0.01, seed=SEED).select("o_orderkey"))
-add("fit_report", lambda s, d: E.fit_report(drawn("part", 4000)(s, d), items("part")(s, d), 4000, 20))
 add("window_key_ranks", lambda s, d: items("events")(s, d).join(s.read.parquet(f"{d}/events.parquet").select(F.col("event_id").alias("id"), "event_type"), "id").select("id", F.ntile(4).over(Window.partitionBy("event_type").orderBy("w", "id")).alias("quarter")), f"WITH {FIXTURES['events'].sql} SELECT id, CAST(ntile(4) OVER (PARTITION BY event_type ORDER BY w, id) AS INTEGER) AS quarter FROM items JOIN events ON event_id = id")
 
 
@@ -523,12 +508,9 @@ add("map_of_counts", lambda s, d: A.draw_counts(drawn("orders", 1000)(s, d)).agg
 
 def streamed(s: SparkSession, d: str) -> DataFrame:
     """The reservoir fed by Structured Streaming from files of the events table."""
-    import tempfile
-
     from ..sources.tables import read_stream
 
-    base = s.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="weightdraw-")
-    home = f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    home = f"{shared_dir(s)}-stream"
     rows = items("events")(s, d).select("id", "w")
     rows.repartition(3, "id").write.parquet(f"{home}/in")
     held = R.WeightedReservoir(s, 100, SEED, path=f"{home}/state")
@@ -537,3 +519,5 @@ def streamed(s: SparkSession, d: str) -> DataFrame:
 
 
 add("reservoir_streamed", streamed, ORACLE["reservoir_day_k100"])
+
+from . import more  # noqa: E402, F401 - registers the rest
