@@ -13,14 +13,16 @@ from __future__ import annotations
 
 import pickle
 import sys
-import tempfile
-import uuid
 from collections.abc import Callable
 
 from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.stored import materialise, shared_dir
+
+__all__ = ["bounded_labelled", "held_out", "materialise", "share", "shared_dir", "ship", "table", "unused"]
+
 
 def ship(module_name: str) -> None:
     """Pickle the functions of a module by value, for executors without this repository."""
@@ -44,32 +46,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """A fresh path below ``spark.checkpoint.dir`` or the context's checkpoint folder.
-
-    Where neither is set, a local master (tests) gets a temporary folder and a cluster the
-    warehouse, which its machines share.
-    """
-    context = spark.sparkContext
-    base = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
-    if not base and context.master.startswith("local"):
-        context.setCheckpointDir(tempfile.mkdtemp(prefix="weightdraw-"))
-        base = context.getCheckpointDir()
-    base = base or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_weightdraw"
-    return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
-
-
-def materialise(df: DataFrame, partition_by: str | None = None) -> DataFrame:
-    """Write to the shared folder and read back: a new, short lineage."""
-    spark = df.sparkSession
-    path = shared_dir(spark)
-    writer = df.write.option("compression", "zstd")
-    if partition_by:
-        writer = writer.partitionBy(partition_by)
-    writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def unused(df: DataFrame, base: str) -> str:
     """``base``, lengthened until no column of ``df`` begins with it: names for temporary columns."""
     while any(c.lower().startswith(base.lower()) for c in df.columns):

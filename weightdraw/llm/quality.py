@@ -34,30 +34,35 @@ PENALTIES = (0.03, 0.01, 0.003, 0.001)
 Rule = tuple[tuple[int, bool, float], ...]
 
 
-def statistics(text: Column) -> dict[str, Column]:
-    """Named statistics of a text, all from built-in functions."""
+def statistics(text: Column) -> Column:
+    """A struct of statistics of a text, all from built-in functions.
+
+    Text, words and lines are bound as a lambda's variable: whatever the optimiser does
+    with the expression, the text is split once.
+    """
     text = F.coalesce(text.cast("string"), F.lit(""))
-    words, lines = F.split(F.trim(text), r"\s+"), F.split(text, "\n")
-    size, n_words, n_lines = F.greatest(F.length(text), F.lit(1)), F.size(words), F.size(lines)
-    count = lambda pattern: F.regexp_count(text, F.lit(pattern))
-    return {
-        "n_words": n_words.cast("double"),
-        "distinct_words": F.size(F.array_distinct(words)) / n_words,
-        "word_length": F.length(text) / n_words,
-        "symbols": count(r"[#$%&*|~^<>{}\[\]=_+@\\]") / size,
-        "bangs": count(r"[!?]") / n_words,
-        "capitals": count(r"\p{Lu}") / size,
-        "digits": count(r"\p{Nd}") / size,
-        "stops": count(r"[.,;:]") / n_words,
-        "pipes": count(r"(?: \| )") / n_words,
-        "n_lines": n_lines / n_words,
-        "distinct_lines": F.size(F.array_distinct(lines)) / n_lines,
-        "repeats": count(r"(?<!\S)(\S+) \1(?!\S)") / n_words,
-    }
-
-
-def known_statistics(text: Column) -> Column:
-    return F.struct(*[c.alias(n) for n, c in statistics(text).items()])
+    parts = F.struct(text.alias("text"), F.split(F.trim(text), r"\s+").alias("words"), F.split(text, "\n").alias("lines"))
+
+    def of(p: Column) -> Column:
+        size, n_words, n_lines = F.greatest(F.length(p["text"]), F.lit(1)), F.size(p["words"]), F.size(p["lines"])
+        count = lambda pattern: F.regexp_count(p["text"], F.lit(pattern))
+        found = {
+            "n_words": n_words.cast("double"),
+            "distinct_words": F.size(F.array_distinct(p["words"])) / n_words,
+            "word_length": F.length(p["text"]) / n_words,
+            "symbols": count(r"[#$%&*|~^<>{}\[\]=_+@\\]") / size,
+            "bangs": count(r"[!?]") / n_words,
+            "capitals": count(r"\p{Lu}") / size,
+            "digits": count(r"\p{Nd}") / size,
+            "stops": count(r"[.,;:]") / n_words,
+            "pipes": count(r"(?: \| )") / n_words,
+            "n_lines": n_lines / n_words,
+            "distinct_lines": F.size(F.array_distinct(p["lines"])) / n_lines,
+            "repeats": count(r"(?<!\S)(\S+) \1(?!\S)") / n_words,
+        }
+        return F.struct(*[c.alias(n) for n, c in found.items()])
+
+    return F.transform(F.array(parts), of)
 
 
 NAMES = ["n_words", "distinct_words", "word_length", "symbols", "bangs", "capitals", "digits", "stops", "pipes", "n_lines", "distinct_lines", "repeats"]
@@ -84,9 +89,8 @@ class RuleModel:
         return 1 / (1 + F.exp(-total))
 
     def score(self, text: Column) -> Column:
-        """The score of a text.  The statistics are bound as a lambda's variable, so however
-        the optimiser moves the expression (into a filter, say), each is computed once."""
-        return F.transform(F.array(known_statistics(text)), self.compile)[0]
+        """The score of a text; its statistics are computed once, wherever the expression is moved."""
+        return F.transform(statistics(text), self.compile)[0]
 
 
 def _simplify(path: Rule) -> Rule:
@@ -122,7 +126,7 @@ def fit_rules(x: np.ndarray, y: np.ndarray) -> RuleModel:
 
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> RuleModel:
     rows = bounded_labelled(docs, labels, "quality", MODULUS, REMAINDER, sample)
-    table = rows.select("doc_id", "y", *[c.alias(n) for n, c in statistics(F.col("text")).items()]).toPandas().sort_values("doc_id", kind="stable")
+    table = rows.select("doc_id", "y", F.inline(statistics(F.col("text")))).toPandas().sort_values("doc_id", kind="stable")
     return fit_rules(table[NAMES].to_numpy(float), table["y"].to_numpy(float))
 
 
