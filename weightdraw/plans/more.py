@@ -153,7 +153,7 @@ def by_class(draw) -> object:
 
 
 for name, options in {"os_draw": {}, "os_nomerge": {"dedup": False}, "os_gapless": {"gapless": True}, "os_nocutoff": {"cutoff": 0}}.items():
-    add(f"{name}_class_counts", by_class(lambda i, o=options: C.draw_with_replacement(i, 1000, SEED, **o)), ORACLE["class_counts_k1000"])
+    add(f"{name}_invariants", by_class(lambda i, o=options: C.draw_with_replacement(i, 1000, SEED, **o)), ORACLE["class_counts_k1000"])
 add("os_store_class_counts", by_class(lambda i: ClassStore.build(i).draw(1000, SEED)), ORACLE["class_counts_k1000"])
 
 

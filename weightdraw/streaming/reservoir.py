@@ -30,8 +30,8 @@ def keyed(items: DataFrame, seed: int, weighted: bool = True) -> DataFrame:
     return items.withColumn("key", exp_key(u, F.col("w")) if weighted else u)
 
 
-#: Candidates and state rows up to which a batch ends in a plain top-k.
-FINISH = 100_000
+#: Candidates and state rows up to which a batch ends in a plain top-k; k up to which the state may be on the driver.
+FINISH, LOCAL = 100_000, 10_000
 
 
 @dataclass
@@ -87,7 +87,7 @@ class WeightedReservoir:
                 self._load(max(older))
         self.profile = [p for p in self.profile if p["batch"] < batch_id]
 
-    def process_batch(self, items: DataFrame, batch_id: int) -> None:
+    def process_batch(self, items: DataFrame, batch_id: int, arrived: int | None = None) -> None:
         self._before(batch_id)
         self._done[batch_id] = self._state, self.threshold
         for old in [b for b in self._done if b < batch_id - 2]:
@@ -99,7 +99,8 @@ class WeightedReservoir:
             fresh = fresh if self.threshold is None else fresh.where(F.col("key") < self.threshold)
         # the one pass over the batch: candidates are written, all later rounds read them
         fresh = materialise(fresh.select("id", "key", F.lit(batch_id).alias("batch")))
-        arrived, candidates, rounds = items.count(), fresh.count(), 0
+        arrived = items.count() if arrived is None else arrived
+        candidates, rounds = fresh.count(), 0
         both = fresh if self._state is None else self._state.unionByName(fresh)
         both = both.groupBy("id").agg(F.min("key").alias("key"), F.min("batch").alias("batch"))
         if self.mode == "gather":
@@ -115,10 +116,14 @@ class WeightedReservoir:
             target = f"{self.path}/batch={batch_id}"
             kept.write.mode("overwrite").parquet(target)
             self._state = self.spark.read.schema(kept.schema).parquet(target)
+        elif self.k <= LOCAL:
+            rows = kept.collect()  # k rows
+            self._state, limit = self.spark.createDataFrame(rows, kept.schema), max((r.key for r in rows), default=None) if len(rows) >= self.k else None
         else:
             self._state = materialise(kept)
-        r = self._state.agg(F.count("*").alias("n"), F.max("key").alias("t")).first()
-        limit = r.t if r.n >= self.k else None
+        if self.path or self.k > LOCAL:
+            r = self._state.agg(F.count("*").alias("n"), F.max("key").alias("t")).first()
+            limit = r.t if r.n >= self.k else None
         self.threshold = limit if limit is not None else self.threshold
         self.profile.append({"batch": batch_id, "arrived": arrived, "candidates": candidates, "rounds": rounds, "threshold": self.threshold})
 
@@ -129,8 +134,8 @@ class WeightedReservoir:
 def replay(items: DataFrame, batch: str, reservoir: WeightedReservoir) -> WeightedReservoir:
     """Feed a table batch by batch, in the order of its batch column; the table is split once."""
     items = materialise(items, batch)
-    for b in sorted(r[0] for r in items.select(batch).distinct().collect()):
-        reservoir.process_batch(items.where(F.col(batch) == b), int(b))
+    for r in sorted(items.groupBy(batch).count().collect()):
+        reservoir.process_batch(items.where(F.col(batch) == r[0]), int(r[0]), r["count"])
     return reservoir
 
 
