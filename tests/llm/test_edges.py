@@ -25,7 +25,7 @@ def labels_of(spark, ids, bad):
     return spark.createDataFrame([(i, int(i not in bad), int(i in bad)) for i in ids], "doc_id long, quality int, toxic int")
 
 
-ODD = [(None, "a null id", None), (None, None, None), (1, None, "en"), (2, "", "en"), (3, "word " * 200_000, "en"), (4, "same text here", "en"), (4, "same text here", "en"), (5, "x" * 300_000, None)]
+ODD = [(None, "a null id", None), (None, None, None), (1, None, "en"), (2, "", "en"), (3, "word " * 20_000, "en"), (4, "same text here", "en"), (4, "same text here", "en"), (5, "x" * 40_000, None)]
 
 
 @pytest.fixture(scope="module")
