@@ -127,13 +127,14 @@ def chunked(items: DataFrame, stats: Stats, chunk: int = CHUNK) -> DataFrame:
     return with_class(items, stats.least).withColumn("chunk", F.pmod(F.xxhash64("id"), F.lit(max(1, -(-stats.n // chunk)))).cast("int"))
 
 
-def draw_with_replacement(items: DataFrame, k: int, seed: int = 7, cutoff: int = 128, dedup: bool = True, gapless: bool = False, top: str = "classes", chunk: int = CHUNK) -> DataFrame:
+def draw_with_replacement(items: DataFrame, k: int, seed: int = 7, cutoff: int = 128, dedup: bool = True, gapless: bool = False, top: str = "classes", chunk: int = CHUNK, nodes: bool = False) -> DataFrame:
     """(id, k_i): k independent weighted draws as multiplicities.
 
     ``top`` is ``classes`` (tree over weight classes) or ``workers`` (tree over workers that
     each hold a mix of classes, then their classes).  Only chunks with a positive count
     take part; their counts are the only thing sent out.  Without ``dedup`` an item's
-    multiplicity may be split over several rows.
+    multiplicity may be split over several rows.  ``nodes`` gives (wclass, chunk, distinct,
+    visited) instead: how many tree nodes the distinct results took.
     """
     stats = weight_stats(items)
     rows = chunked(items, stats, chunk)
@@ -159,10 +160,13 @@ def draw_with_replacement(items: DataFrame, k: int, seed: int = 7, cutoff: int =
         w = order.column("units").cast(pa.float64()).to_numpy()
         g, c, m = (order.column(x)[0].as_py() for x in ("wclass", "chunk", "m"))
         rng = np.random.Generator(np.random.Philox(key=[seed, (g << 32) + c]))
-        at, times, _ = sample_weights(w, m, rng, cutoff, dedup, gapless)
+        at, times, visited = sample_weights(w, m, rng, cutoff, dedup, gapless)
+        if nodes:
+            return pa.table({"wclass": pa.array([g], pa.int32()), "chunk": pa.array([c], pa.int32()), "distinct": pa.array([len(np.unique(at))], pa.int64()), "visited": pa.array([visited], pa.int64())})
         return pa.table({"id": order.column("id").take(pa.array(at)), "k_i": pa.array(times, pa.int64())})
 
-    return rows.join(asked, ["wclass", "chunk"]).groupBy("wclass", "chunk").applyInArrow(run, f"id {kind}, k_i long")
+    made = "wclass int, chunk int, distinct long, visited long" if nodes else f"id {kind}, k_i long"
+    return rows.join(asked, ["wclass", "chunk"]).groupBy("wclass", "chunk").applyInArrow(run, made)
 
 
 def worker_counts(items: DataFrame, k: int, workers: int, seed: int = 7) -> DataFrame:
@@ -316,14 +320,17 @@ def choose_ell_stepwise(items: DataFrame, stats: Stats, k: int) -> int | None:
     return choose_ell(classes, stats.least, k)
 
 
-def draw_without_replacement(items: DataFrame, k: int, seed: int = 7, retry: str = "extend", rounds: int = 20) -> DataFrame:
+def draw_without_replacement(items: DataFrame, k: int, seed: int = 7, retry: str = "extend", rounds: int = 20, select: bool = False) -> DataFrame:
     """(id, rank): k distinct items, output-sensitive.
 
     Draws with replacement until k distinct items are there and ranks them by clocks on
     their multiplicities.  A round that falls short is kept as the next ranks and another
     round fills the rest (``extend``); ``discard`` throws it away and repeats, which
-    conditions the result.
+    conditions the result.  ``select`` cuts the distinct items down to k by distributed
+    selection instead of a top-k.
     """
+    from .order import select_threshold
+
     stats = weight_stats(items)
     spark = items.sparkSession
     if k >= stats.n:
@@ -337,7 +344,10 @@ def draw_without_replacement(items: DataFrame, k: int, seed: int = 7, retry: str
         if done is not None:
             drawn = drawn.join(done, "id", "left_anti")
         key = exp_key(hash_uniform(seed, F.lit(f"round{r}"), F.col("id")), F.col("k_i"))
-        part = drawn.select("id", key.alias("_key")).orderBy("_key", "id").limit(k - have)
+        ranked = drawn.select("id", key.alias("_key"))
+        if select and (limit := select_threshold(ranked, "_key", k - have, finish=0)[0]) is not None:
+            ranked = ranked.where(F.col("_key") <= limit)
+        part = ranked.orderBy("_key", "id").limit(k - have)
         part = part.withColumn("rank", F.row_number().over(Window.orderBy("_key", "id")) + have).select("id", "rank")
         rows = part.collect()  # at most k rows of ids
         if retry == "discard" and len(rows) < k:

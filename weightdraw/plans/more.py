@@ -170,6 +170,18 @@ def store_reads(s: SparkSession, d: str) -> DataFrame:
 
 add("os_store_rows_read", store_reads)
 
+add("os_without_selected", lambda s, d: C.draw_without_replacement(items("events")(s, d), 100, SEED, select=True).select("id", "rank").exceptAll(C.draw_without_replacement(items("events")(s, d), 100, SEED)).agg(F.count("*").alias("n_other")), "SELECT CAST(0 AS BIGINT) AS n_other")
+
+
+def tree_nodes(s: SparkSession, d: str) -> DataFrame:
+    """(k, distinct, visited): tree nodes that draws visit against distinct results."""
+    i = items("events")(s, d)
+    parts = [C.draw_with_replacement(i, k, SEED, nodes=True).agg(F.lit(k).cast("long").alias("k"), F.sum("distinct").alias("distinct"), F.sum("visited").alias("visited")) for k in (10, 100, 1000, 10_000)]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2]).unionByName(parts[3])
+
+
+add("tree_nodes", tree_nodes)
+
 # ---- baselines ----------------------------------------------------------------------------------------
 
 add("baseline_sequential_draws", lambda s, d: C.sequential_draws(items("orders")(s, d), 1000, SEED, portable=True), f"{DRAWN} SELECT draw, id FROM drawn")
