@@ -70,7 +70,8 @@ def bounded_labelled(docs: DataFrame, labels: DataFrame, label: str, modulus: in
     y = y.where(~held_out(F.col("_id"), modulus, remainder)).groupBy("_id").agg(F.max("y").alias("y"))
     chosen = y.orderBy(F.xxhash64("_id"), "_id").limit(bound)
     rows = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(chosen), F.col("doc_id") == F.col("_id"))
-    return rows.groupBy("doc_id", "y").agg(F.min_by("text", F.xxhash64("text")).alias("text")).select("doc_id", "text", "y")
+    # written, as a fit goes over its rows several times
+    return materialise(rows.groupBy("doc_id", "y").agg(F.min_by("text", F.xxhash64("text")).alias("text")).select("doc_id", "text", "y"))
 
 
 ship(__name__)
