@@ -1,14 +1,19 @@
 """Reservoirs over batches: restarts, replays, jumps; the structure on disk; distributed splits."""
 
+from datetime import datetime
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from weightdraw.functions.measures import measured
 from weightdraw.operators import alias, classes, items, subset
+from weightdraw.operators.overlay import range_overlay
 from weightdraw.operators.prefix import block_prefix_sum, with_block
 from weightdraw.operators.store import ClassStore
-from weightdraw.streaming.reservoir import WeightedReservoir, keyed, replay
+from weightdraw.sources.tables import read_stream
+from weightdraw.streaming import state
+from weightdraw.streaming.reservoir import WeightedReservoir, keyed, replay, windowed
 
 
 def rows_of(spark, n, low=0):
@@ -101,3 +106,54 @@ def test_uniform_counts_add_up():
     for replace in (True, False):
         assert sum(classes.uniform_counts(15_000, 1_000, 8, 7, replace)) == 1_000
     assert classes.uniform_counts(10, 10, 5, 1, False) == [2, 2, 2, 2, 2]
+
+
+def test_stateful_shards_keep_what_one_reservoir_keeps(spark, tmp_path):
+    """Two runs on one checkpoint: the second goes on from the state of the first."""
+    source, log, sink = (str(tmp_path / x) for x in ("in", "log", "out"))
+    rows = rows_of(spark, 800).select("id", "w")
+
+    def run():
+        found = state.taken_in(read_stream(spark, source, rows.schema), 20, 3)
+        found.writeStream.format("parquet").option("checkpointLocation", log).trigger(availableNow=True).start(sink).awaitTermination()
+        return spark.read.schema(found.schema).parquet(sink)
+
+    rows.where("id < 500").write.parquet(source)
+    assert {r.id for r in state.held_of(run(), 20).collect()} == best(spark, 500, 20)
+    rows.where("id >= 500").write.mode("append").parquet(source)
+    out = run()
+    assert {r.id for r in state.held_of(out, 20).collect()} == best(spark, 800, 20)
+    assert out.count() < 400  # not every row is taken in
+
+
+def test_late_rows_are_dropped_and_counted(spark, tmp_path):
+    source = str(tmp_path / "in")
+    days = lambda *xs: spark.createDataFrame([(d * 100 + i, 1.0, datetime(2024, 1, d, 12)) for d in xs for i in range(4)], "id long, w double, ts timestamp").coalesce(1)
+    days(9, 10).write.parquet(source)
+    query = windowed(read_stream(spark, source, days(1).schema), "1 day", 3, late="1 day").writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "log"))
+    query.trigger(availableNow=True).start().awaitTermination()
+    days(3, 11).write.mode("append").parquet(source)
+    again = query.trigger(availableNow=True).start()
+    again.awaitTermination()
+    assert state.dropped_late(again) > 0
+    table = spark.createDataFrame([(1, datetime(2024, 1, 10)), (2, datetime(2024, 1, 3)), (2, datetime(2024, 1, 11)), (3, datetime(2024, 1, 10))], "b int, ts timestamp")
+    got = state.late_profile(table, "b", "ts", F.make_dt_interval(days=F.lit(1))).orderBy("b").collect()
+    assert [tuple(r) for r in got] == [(1, 1, 0), (2, 2, 1), (3, 1, 0)]
+
+
+@pytest.mark.parametrize("blocks", [1, 4])
+def test_overlays_equal_brute_force(spark, blocks):
+    rng = np.random.default_rng(5)
+    for gaps in (0, 3):
+        sides = []
+        for n in (90, 40):
+            at, rows = 0, []
+            for i in range(n):
+                lo = at + int(rng.integers(0, gaps + 1))
+                at = lo + int(rng.integers(0, 6))
+                rows.append((i, lo, at))
+            sides.append(rows)
+        frames = [spark.createDataFrame([*s, (900, None, 5)], "id long, lo long, hi long") for s in sides]
+        got = sorted(tuple(r) for r in range_overlay(*frames, blocks).collect())
+        assert got == sorted((a, b, max(l, m), min(h, j)) for a, l, h in sides[0] for b, m, j in sides[1] if max(l, m) < min(h, j))
+    assert range_overlay(frames[0].limit(0), frames[1], blocks).count() == 0

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.measures import measured
+from ..functions.stored import shared_dir
 from ..functions.variates import hash_uniform, py_uniform, sql_uniform
 from ..operators import alias as A
 from ..operators import classes as C
@@ -14,10 +17,12 @@ from ..operators import items as I
 from ..operators import order as O
 from ..operators import subset as P
 from ..operators import tables as T
-from ..operators.prefix import next_at_or_after
+from ..operators.overlay import range_overlay
+from ..operators.prefix import block_prefix_sum, next_at_or_after
 from ..operators.store import ClassStore
-from ..sources.tables import FIXTURES, LINE_ID
+from ..sources.tables import FIXTURES, LINE_ID, read_stream
 from ..streaming import reservoir as R
+from ..streaming import state as S
 from . import sqlapi
 from .queries import DRAWN, LOCAL, META, ORACLE, PROFILE, REJ, SAMPLED, SEED, SHARDED, STATS, add, alias_sql, attempts_sql, big, clock_sql, compressed, day_events, draws_sql, drawn, flat, items, pi, pi_sql, sampled, sharded
 
@@ -337,3 +342,65 @@ g AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, id ROWS UNBOU
 r AS (SELECT user_id, min(ts) OVER (PARTITION BY user_id, g) AS start, id, row_number() OVER (PARTITION BY user_id, g ORDER BY key, id) AS r FROM g)
 SELECT user_id, CAST(start AS TIMESTAMP) AS start, id FROM r WHERE r <= 5""",
 )
+
+# ---- state of a stream, late rows, overlays, table functions, throughput -----------------------------------------
+
+
+def stateful(s: SparkSession, d: str) -> DataFrame:
+    """All events through the stateful stream: eight shards, three files."""
+    home = f"{shared_dir(s)}-stateful"
+    rows = items("events")(s, d).select("id", "w")
+    rows.repartition(3, "id").write.parquet(f"{home}/in")
+    found = S.taken_in(read_stream(s, f"{home}/in", rows.schema), 100, 8, SEED)
+    found.writeStream.format("parquet").option("checkpointLocation", f"{home}/log").trigger(availableNow=True).start(f"{home}/out").awaitTermination()
+    return S.held_of(s.read.schema(found.schema).parquet(f"{home}/out"), 100).select("id")
+
+
+add("reservoir_stateful", stateful, ORACLE["reservoir_day_k100"])
+
+
+def arrivals(s: SparkSession, d: str) -> DataFrame:
+    """Events that arrive up to two days after their time, in batches by day of arrival."""
+    rows = s.read.parquet(f"{d}/events.parquet").select("event_id", "ts")
+    hours = F.floor(hash_uniform(SEED, F.col("event_id")) * 48).cast("int")
+    return rows.withColumn("b", F.dayofyear(F.col("ts") + F.make_dt_interval(hours=hours)).cast("int"))
+
+
+add(
+    "late_rows",
+    lambda s, d: S.late_profile(arrivals(s, d), "b", "ts", F.make_dt_interval(hours=F.lit(12))),
+    f"""WITH a AS (SELECT ts, CAST(dayofyear(ts + to_hours(CAST(floor({u_sql('event_id')} * 48) AS INTEGER))) AS INTEGER) AS b FROM events),
+m AS (SELECT b, max(max(ts)) OVER (ORDER BY b ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) - INTERVAL 12 HOUR AS mark FROM a GROUP BY b)
+SELECT b, count(*) AS arrived, count(*) FILTER (WHERE ts < mark) AS late FROM a JOIN m USING (b) GROUP BY b""",
+)
+
+
+def intervals(s: SparkSession, d: str, name: str) -> DataFrame:
+    """(id, lo, hi): the items of a fixture laid end to end in id order."""
+    run = block_prefix_sum(items(name)(s, d), "id", {"hi": F.col("units")}, 3)
+    return run.select("id", (F.col("hi") - F.col("units")).cast("long").alias("lo"), F.col("hi").cast("long").alias("hi"))
+
+
+LINED = "SELECT id, CAST(sum(units) OVER (ORDER BY id ROWS UNBOUNDED PRECEDING) - units AS BIGINT) AS lo, CAST(sum(units) OVER (ORDER BY id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS hi FROM items"
+add(
+    "range_overlay",
+    lambda s, d: range_overlay(intervals(s, d, "customer"), intervals(s, d, "supplier"), 5),
+    f"""WITH l AS (WITH {FIXTURES['customer'].sql} {LINED}), r AS (WITH {FIXTURES['supplier'].sql} {LINED})
+SELECT l.id AS "left", r.id AS "right", greatest(l.lo, r.lo) AS lo, least(l.hi, r.hi) AS hi FROM l JOIN r ON l.lo < r.hi AND r.lo < l.hi""",
+)
+add("udtf_poisson", lambda s, d: sqlapi.poisson_sql(s, pi("orders")(s, d), SEED).select(F.col("id").cast("long").alias("id")), ORACLE["poisson_naive_orders"])
+
+
+def throughput(s: SparkSession, d: str) -> DataFrame:
+    """Draws from the structure on disk over k: results, distinct share, seconds, samples a second, time a distinct item."""
+    store, out = ClassStore.build(items("lineitem")(s, d), cell_rows=10_000), []
+    store.draw(1, SEED).count()  # the workers' start is no draw's time
+    for k in (100, 1000, 10_000):
+        start = time.time()
+        distinct = store.draw(k, SEED).count()
+        t = time.time() - start
+        out.append((k, distinct, distinct / k, t, k / t, 1e6 * t / distinct))
+    return s.createDataFrame(out, "k long, distinct long, share double, seconds double, samples_per_s double, us_per_distinct double")
+
+
+add("draw_throughput", throughput)

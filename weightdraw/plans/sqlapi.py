@@ -7,6 +7,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.variates import py_uniform
 
 class FirstRows:
     """Keeps the first k rows of each partition of a table argument; the caller orders by key."""
@@ -40,12 +41,21 @@ class AliasDraws:
             yield draw, alias if alias is not None and uniform(f"coin:{draw}") * float(cap) >= float(part) else own
 
 
+class PoissonRows:
+    """Keeps every row (id, pi) of a table argument with its own probability."""
+
+    def eval(self, seed: int, row: Row) -> Iterator[tuple[str]]:
+        if row["pi"] is not None and py_uniform(seed, row["id"]) <= row["pi"]:
+            yield (row["id"],)
+
+
 def register(spark: SparkSession) -> None:
-    """hash_uniform(seed, key), exp_key(seed, key, w), weight_class(units, least), weighted_sample(k, TABLE), alias_draws(k, seed, TABLE)."""
+    """hash_uniform(seed, key), exp_key(seed, key, w), weight_class(units, least), weighted_sample(k, TABLE), alias_draws(k, seed, TABLE), poisson(seed, TABLE)."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION hash_uniform(seed INT, key STRING) RETURNS DOUBLE RETURN (CAST(conv(substring(md5(concat_ws(':', CAST(seed AS STRING), key)), 1, 13), 16, 10) AS DOUBLE) + 1) / 4503599627370496D")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION exp_key(seed INT, key STRING, w DOUBLE) RETURNS DOUBLE RETURN -ln(hash_uniform(seed, key)) / w")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION weight_class(units DOUBLE, least DOUBLE) RETURNS INT RETURN CAST(floor(log2(units / least)) AS INT)")
     spark.udtf.register("alias_draws", F.udtf(AliasDraws, returnType="draw long, id long"))
+    spark.udtf.register("poisson", F.udtf(PoissonRows, returnType="id string"))
     spark.udtf.register("weighted_sample", F.udtf(FirstRows, returnType="grp string, id long"))
 
 
@@ -62,3 +72,10 @@ def alias_draws_sql(spark: SparkSession, table: DataFrame, k: int, seed: int = 7
     register(spark)
     table.select("bucket", "id", "part", "alias", "cap").createOrReplaceTempView("_alias_table")
     return spark.sql(f"SELECT draw, id FROM alias_draws({int(k)}, {int(seed)}, TABLE(_alias_table) WITH SINGLE PARTITION)")
+
+
+def poisson_sql(spark: SparkSession, items: DataFrame, seed: int = 7) -> DataFrame:
+    """(id) as text: every item (id, pi) with its own probability, asked in SQL; partitions stay where they are."""
+    register(spark)
+    items.select(F.col("id").cast("string").alias("id"), F.col("pi").cast("double").alias("pi")).createOrReplaceTempView("_items_with_pi")
+    return spark.sql(f"SELECT id FROM poisson({int(seed)}, TABLE(_items_with_pi))")
