@@ -56,13 +56,13 @@ def late_profile(items: DataFrame, batch: str, ts: str, delay: Column) -> DataFr
 
     The watermark in a batch is the latest time of all batches before it less ``delay`` (an
     interval), as the streaming engine moves it.  Two aggregates; the running maximum
-    in between is over one row a batch.
+    in between is over one row a batch.  Rows of a null batch come first; a null time is never late.
     """
     latest = items.groupBy(batch).agg(F.max(ts).alias("_latest"))
     before = Window.orderBy(batch).rowsBetween(Window.unboundedPreceding, -1)
     marks = latest.select(F.col(batch).alias("_b"), (F.max("_latest").over(before) - delay).alias("_mark"))
     late = F.count_if(F.col(ts) < F.col("_mark"))
-    return items.join(marks, F.col(batch) == F.col("_b")).groupBy(batch).agg(F.count("*").alias("arrived"), late.alias("late"))
+    return items.join(marks, F.col(batch).eqNullSafe(F.col("_b"))).groupBy(batch).agg(F.count("*").alias("arrived"), late.alias("late"))
 
 
 def dropped_late(query: StreamingQuery) -> int:
