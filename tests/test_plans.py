@@ -1,8 +1,10 @@
 """Plans: pruning reaches the scan, no item-size data meets in one task."""
 
+from pyspark.sql import functions as F
+
 from weightdraw.operators import alias as A
 from weightdraw.operators import items as I
-from weightdraw.operators.prefix import block_prefix_sum
+from weightdraw.operators.prefix import block_prefix_sum, boundaries
 from weightdraw.streaming.reservoir import WeightedReservoir, keyed
 
 
@@ -43,3 +45,14 @@ def test_reservoir_ignores_batch_boundaries(spark):
         r.process_batch(rows.where(f"id >= {cuts[-2]} and id < {cuts[-1]}"), len(cuts) - 2)  # replay
         found.append(sorted(x["id"] for x in r.current().collect()))
     assert found[0] == found[1]
+
+
+def test_many_chunks_of_neighbours_need_no_cut_points(spark, monkeypatch):
+    items = I.weighted_items(spark.range(3, 30_003).select("id", (1 + F.col("id") % 7).cast("double").alias("w")), "id", "w")
+    stats = I.weight_stats(items)
+    asked = []
+    monkeypatch.setattr(A, "boundaries", lambda df, key, blocks: asked.append(blocks) or boundaries(df, key, blocks))
+    rows, chunks = A.class_chunks(items, stats, 5)
+    assert not asked and chunks == 6_000
+    assert {r["n"] for r in rows.groupBy("chunk").agg(F.count("*").alias("n")).collect()} == {5}
+    assert A.block_states(items, stats, 3, 5)[1] == A.block_states(items, stats, 3, 500)[1] and asked
