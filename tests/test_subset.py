@@ -1,8 +1,9 @@
-"""Walks of gaps over many parts."""
+"""Walks of gaps over many parts, and workers at the bounds of their ranges."""
 
 import math
 
 import pytest
+from pyspark.sql import functions as F
 
 from weightdraw.functions.variates import py_uniform
 from weightdraw.operators import subset as P
@@ -25,3 +26,18 @@ def test_a_class_is_one_walk_however_many_parts(spark, chunk):
     hits = P.skips(spark, groups, 7, "skip", chunk)
     want = sorted(x for g, n, c in groups for x in walk(n, c, 7, "skip", g))
     assert sorted((r.pclass, r.t, r.pos) for r in hits.where("part = 0").collect()) == want
+
+
+def test_worker_just_below_a_bound(spark):
+    pi = [0.999999, *[1.0] * 23, 0.000001]
+    rows = spark.createDataFrame(list(enumerate(pi)), "id long, pi double")
+    got = [r.worker for r in P.poisson_assign(rows, 8).orderBy("id").collect()]
+    units, before, want = [round(p * 1_000_000) for p in pi], 0, []
+    for u in units:
+        want.append(before * 8 // sum(units))
+        before += u
+    assert want[3] == 0 and got == want
+
+
+def test_assign_of_nothing(spark):
+    assert P.poisson_assign(spark.range(0).select("id", F.lit(0.5).alias("pi")), 4).count() == 0
